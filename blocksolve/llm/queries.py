@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from blocksolve.llm import chat, mixing, quality
+from blocksolve.llm import chat, langid, mixing, quality, warc
 from blocksolve.llm.common import read
 
 
@@ -14,6 +15,11 @@ def op2_chat_snapshots(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.collapse_and_render(read(spark, sf_dir, "conversations"))
 
 
+def op4_warc_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    archives = warc.write_archives(warc.plan_revisits(read(spark, sf_dir, "pages")))
+    return warc.read_archives(archives, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 def op5_poisson_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read(spark, sf_dir, "documents"))
 
@@ -24,9 +30,21 @@ def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def remainder(doc_id: str, n: int):
+    """crc32 of the id as text, modulo n (a null id counts as the empty text)."""
+    return F.crc32(F.coalesce(F.col(doc_id).cast("string"), F.lit(""))) % n
+
+
+def op9_language_bitmask(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    held = remainder("doc_id", 3) == 1
+    model = langid.train(docs.where(~held))
+    return langid.predict(docs, model, ["doc_id"]).select("doc_id", held.alias("held_out"), "lang_pred", "score")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_chat_snapshots, op5_poisson_mixing, op8_quality_rules)}
+    return {f.__name__: f for f in (op2_chat_snapshots, op4_warc_round_trip, op5_poisson_mixing, op8_quality_rules, op9_language_bitmask)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_chat_snapshots": chat.ORACLE, "op5_poisson_mixing": mixing.ORACLE, "op8_quality_rules": quality.ORACLE}
+    return {"op2_chat_snapshots": chat.ORACLE, "op4_warc_round_trip": warc.ORACLE, "op5_poisson_mixing": mixing.ORACLE, "op8_quality_rules": quality.ORACLE}
