@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blocksolve.llm import chat, langid, mixing, quality, warc
+from blocksolve.llm import chat, langid, mixing, ppm, quality, warc
 from blocksolve.llm.common import read
 
 
@@ -42,8 +42,17 @@ def op9_language_bitmask(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs, model, ["doc_id"]).select("doc_id", held.alias("held_out"), "lang_pred", "score")
 
 
+def op10_ppm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    held = remainder("doc_id", 7) == 2
+    model = ppm.train(docs.where(~held))
+    return ppm.score(docs, model, ["doc_id"]).select(
+        "doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(model.tokens).cast("long").alias("train_tokens"), "base_score", "score"
+    )
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_chat_snapshots, op4_warc_round_trip, op5_poisson_mixing, op8_quality_rules, op9_language_bitmask)}
+    return {f.__name__: f for f in (op2_chat_snapshots, op4_warc_round_trip, op5_poisson_mixing, op8_quality_rules, op9_language_bitmask, op10_ppm_scores)}
 
 
 def oracle_sql() -> dict[str, str]:
