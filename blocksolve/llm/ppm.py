@@ -34,8 +34,8 @@ from blocksolve.llm import textkernel as tk
 from blocksolve.llm.common import materialize
 from blocksolve.llm.langid import merged
 
-ORDER = 4
-NODES = 1 << 21
+ORDER = 5
+NODES = 1 << 20
 HEAD = 1 << 18
 GRAM, WORD = 0, 1
 END_WORD = 0x5E2D58D8B3BCDEF1  # names the end token among word hashes
@@ -147,11 +147,13 @@ class Trie:
                 else:
                     log_rest = np.log10(np.maximum(256.0 - distinct, 1))  # order -1: uniform over what is left
                     log_next = np.zeros(len(ctx))
-                sort = lambda x, by: np.append(x[by.order], 0.0)
+                sort = lambda x, by: np.append(x[by.order], 0.0).astype(np.float32)
                 self.levels.append(
                     Level(symbols, sort(np.log10(n - 0.5) - np.log10(total[inv]), symbols), sort(np.log10(n - 0.5), symbols), contexts,
                           sort(np.log10(distinct / 2) - np.log10(total), contexts), sort(log_rest, contexts), sort(log_next, contexts))
                 )
+        for level in self.levels:
+            level.symbols.order = level.contexts.order = None  # only needed to sort the values
 
     def log10(self, code: np.ndarray) -> np.ndarray:
         """log10 of the probability of the last byte of each (order + 1)-gram after the others."""
