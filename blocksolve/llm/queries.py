@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blocksolve.llm import chat, langid, mixing, ppm, quality, warc
+from blocksolve.llm import chat, langid, mixing, ppm, quality, substrings, warc
 from blocksolve.llm.common import read
 
 
@@ -24,6 +24,10 @@ def op5_poisson_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read(spark, sf_dir, "documents"))
 
 
+def op6_debruijn_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substrings.cut(read(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "n_words", "n_removed", "kept_sha256")
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")).select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept"
@@ -52,7 +56,7 @@ def op10_ppm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_chat_snapshots, op4_warc_round_trip, op5_poisson_mixing, op8_quality_rules, op9_language_bitmask, op10_ppm_scores)}
+    return {f.__name__: f for f in (op2_chat_snapshots, op4_warc_round_trip, op5_poisson_mixing, op6_debruijn_substrings, op8_quality_rules, op9_language_bitmask, op10_ppm_scores)}
 
 
 def oracle_sql() -> dict[str, str]:
