@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blocksolve.llm import chat, langid, mixing, ppm, quality, substrings, warc
+from blocksolve.llm import chat, langid, mixing, neardup, ppm, quality, substrings, warc
 from blocksolve.llm.common import read
 
 
@@ -15,6 +15,10 @@ def op2_chat_snapshots(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.collapse_and_render(read(spark, sf_dir, "conversations"))
 
 
+def op3_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.join(read(spark, sf_dir, "documents")).select("doc_id", "class_id", "copy_of", "n_links")
+
+
 def op4_warc_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     archives = warc.write_archives(warc.plan_revisits(read(spark, sf_dir, "pages")))
     return warc.read_archives(archives, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -56,7 +60,7 @@ def op10_ppm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_chat_snapshots, op4_warc_round_trip, op5_poisson_mixing, op6_debruijn_substrings, op8_quality_rules, op9_language_bitmask, op10_ppm_scores)}
+    return {f.__name__: f for f in (op2_chat_snapshots, op3_ngram_jaccard, op4_warc_round_trip, op5_poisson_mixing, op6_debruijn_substrings, op8_quality_rules, op9_language_bitmask, op10_ppm_scores)}
 
 
 def oracle_sql() -> dict[str, str]:
