@@ -41,6 +41,12 @@ def drop_table(df: DataFrame) -> None:
         p.getFileSystem(conf).delete(p, True)
 
 
+def without_columns(df: DataFrame, *names: str) -> DataFrame:
+    """``df`` without extra columns that are called like what an operator adds: the operator's take their place."""
+    taken = {n.lower() for n in names}
+    return df.select(*[F.col(f"`{c}`") for c in df.columns if c.lower() not in taken])
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -12,7 +12,8 @@ language, then the lesser name).
 
 Defined results: a null text, or one without a letter, is ``und`` with score 0. A text without a
 known n-gram gets the most frequent language with score 0. Rows with null lang teach nothing. If
-nothing is learned, every text is ``und``. Extra columns pass through ``predict`` untouched if asked for.
+nothing is learned, every text is ``und``. Extra columns pass through ``predict`` if asked for; one
+named like a result is replaced.
 """
 
 from __future__ import annotations
@@ -26,6 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blocksolve.llm import textkernel as tk
+from blocksolve.llm.common import without_columns
 
 N, HASHES, SLOTS = 4, 3, 1 << 21
 UNKNOWN = "und"
@@ -142,6 +144,8 @@ def train(learn: DataFrame, text: str = "text", lang: str = "lang", share: float
 
 def predict(docs: DataFrame, model: Filter, keep: list[str], text: str = "text") -> DataFrame:
     """The columns ``keep`` with lang_pred and score, for every row of ``docs``."""
+    keep = [c for c in keep if c.lower() not in ("lang_pred", "score")]
+    docs = without_columns(docs, "lang_pred", "score")
     shared = docs.sparkSession.sparkContext.broadcast((model.langs, model.bits, model.false_rate()))
     extra = [c for c in keep if c != text]
     schema = docs.select(*keep).schema.add("lang_pred", "string").add("score", "double")

@@ -9,7 +9,8 @@ the order of a hash of id and copy: a global shuffle of the corpus.
 
 Defined results: a null source is a source of its own; a null or empty text has no characters, so
 it counts nothing towards shares but is drawn like any other; a source without characters has
-rate 1; a null doc_id draws by the empty id; repeated rows draw alike. Extra columns pass through.
+rate 1; a null doc_id draws by the empty id; repeated rows draw alike. Extra columns pass through,
+but one named like a result or a helper (copy_no, rate, parts, cdf) is replaced.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blocksolve.llm.common import shuffle_partitions, uniform
+from blocksolve.llm.common import shuffle_partitions, uniform, without_columns
 
 STEP = 8.0
 TERMS = 64  # P(Poisson(8) > 64) < 1e-32, below one step of the uniform
@@ -63,6 +64,7 @@ def copies(parts: Column, cdf: Column, doc_id: Column, seed: int) -> Column:
 
 def mix(docs: DataFrame, weights: dict[str, float] | None = None, temperature: float = 0.7, seed: int = 17, doc_id: str = "doc_id", source: str = "source", text: str = "text") -> DataFrame:
     """The rows of ``docs``, each as often as drawn, with ``copy_no`` from 1, dealt out in hashed order."""
+    docs = without_columns(docs, "copy_no", "__mix_source", "__mix_copies", "__mix_place", "rate", "parts", "cdf")
     names = docs.columns
     law = with_cdf(rates(docs.select(source, text), weights, temperature, source, text)).withColumnRenamed(source, "__mix_source")
     n = shuffle_partitions(docs.sparkSession)

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blocksolve.llm import textkernel as tk
-from blocksolve.llm.common import components, materialize, shuffle_partitions
+from blocksolve.llm.common import components, materialize, shuffle_partitions, without_columns
 from blocksolve.llm.substrings import keyed
 
 TREES, DEPTH, RECALL = 20, 8, 0.999
@@ -78,7 +78,7 @@ def labels(hashes: np.ndarray, bounds: np.ndarray, depth: int) -> np.ndarray:
 
 
 def nodes_of(docs: DataFrame, n: int, depth: int) -> DataFrame:
-    """doc_id, k1, k2, node (null without words), size (distinct shingles), labels of each row of ``docs``."""
+    """doc_id, _key1, _key2, node (null without words), size (distinct shingles), labels of each row of ``docs``."""
 
     def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -96,10 +96,10 @@ def nodes_of(docs: DataFrame, n: int, depth: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays(
                     [*(batch.column(c).slice(lo, hi - lo) for c in (1, 2, 3)), pa.array(node.view(np.int64), mask=size == 0), pa.array(size),
                      pa.ListArray.from_arrays(pa.array(np.cumsum(filled, dtype=np.int32)), pa.array(names.reshape(-1).view(np.int64)))],
-                    ["doc_id", "k1", "k2", "node", "size", "labels"],
+                    ["doc_id", "_key1", "_key2", "node", "size", "labels"],
                 )
 
-    return docs.select("text", "doc_id", "k1", "k2").mapInArrow(made, "doc_id long, k1 long, k2 long, node long, size int, labels array<long>")
+    return docs.select("text", "doc_id", "_key1", "_key2").mapInArrow(made, "doc_id long, _key1 long, _key2 long, node long, size int, labels array<long>")
 
 
 def cells(nodes: DataFrame) -> DataFrame:
@@ -200,25 +200,25 @@ def _verify(threshold: float):
 def links_of(docs: DataFrame, nodes: DataFrame, n: int, threshold: float) -> DataFrame:
     """node, hub, links, linked: partial sums and local classes of all verified links between different texts."""
     member = cells(nodes).join(
-        nodes.where("node IS NOT NULL").groupBy("node").agg(F.count("*").alias("copies"), F.first("size").alias("size"), F.min(F.struct("k1", "k2")).alias("at")), "node"
+        nodes.where("node IS NOT NULL").groupBy("node").agg(F.count("*").alias("copies"), F.first("size").alias("size"), F.min(F.struct("_key1", "_key2")).alias("at")), "node"
     )
     order = Window.partitionBy("cell").orderBy("size", "node")
     upto = order.rowsBetween(Window.unboundedPreceding, 0)
     block = F.greatest(F.floor((F.row_number().over(order) - 1) / BLOCK), F.floor(F.sum("size").over(upto) / LOAD)).cast("int")
-    member = materialize(member.select("cell", "node", "copies", "size", "at.k1", "at.k2", block.alias("block")), "members")
+    member = materialize(member.select("cell", "node", "copies", "size", "at._key1", "at._key2", block.alias("block")), "members")
     span = member.groupBy("cell", "block").agg(F.min("size").alias("lo"), F.max("size").alias("hi"), F.count("*").alias("members"))
     left, right = span.select("cell", F.col("block").alias("i"), F.col("hi").alias("hi"), F.col("members").alias("m")), span.select("cell", F.col("block").alias("j"), "lo")
     pairs = left.join(right, "cell").where((F.col("i") <= F.col("j")) & (F.col("hi") >= threshold * F.col("lo")) & ((F.col("i") < F.col("j")) | (F.col("m") > 1)))
     pairs = pairs.select("cell", "i", "j")
     goes = pairs.select("cell", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
-    sets = docs.join(member.select("k1", "k2", "node"), ["k1", "k2"]).dropDuplicates(["k1", "k2"]).select("text", "node").mapInArrow(_sets_of(n), "node long, set array<long>")
+    sets = docs.join(member.select("_key1", "_key2", "node"), ["_key1", "_key2"]).dropDuplicates(["_key1", "_key2"]).select("text", "node").mapInArrow(_sets_of(n), "node long, set array<long>")
     dealt = sets.join(member.select("cell", "node", "block", "copies"), "node").join(goes, ["cell", "block"])
     dealt = dealt.select("cell", "i", "j", "node", "block", "copies", "set").repartition(shuffle_partitions(docs.sparkSession), "cell", "i", "j").sortWithinPartitions("cell", "i", "j")
     return dealt.mapInArrow(_verify(threshold), "node long, hub long, links long, linked long")
 
 
 def join(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 5, threshold: float = 0.8, recall: float = RECALL) -> DataFrame:
-    """doc_id, k2, class_id, copy_of, n_links for every row: links to copies and to similar texts, all counted."""
+    """doc_id, _key2, class_id, copy_of, n_links for every row: links to copies and to similar texts, all counted."""
     known = keyed(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")), "doc_id", "text")
     nodes = materialize(nodes_of(known, n, depth_for(threshold, recall)), "nodes")
     found = materialize(links_of(known, nodes, n, threshold), "links")
@@ -229,9 +229,9 @@ def join(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 5
     first = per.groupBy("label").agg(F.min("copy_of").alias("class_id"))
     told = materialize(per.join(first, "label").select("node", "class_id", "copy_of", (F.col("copies") - 1 + F.coalesce("linked", F.lit(0))).alias("n_links")), "told")
     alone = F.col("class_id").isNull() & F.col("node").isNull()
-    return nodes.select("doc_id", "k1", "k2", "node").join(told, "node", "left").select(
+    return nodes.select("doc_id", "_key1", "_key2", "node").join(told, "node", "left").select(
         "doc_id",
-        "k2",
+        "_key2",
         F.when(alone, F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"),
         F.when(alone, F.col("doc_id")).otherwise(F.col("copy_of")).alias("copy_of"),
         F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),
@@ -240,7 +240,8 @@ def join(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 5
 
 def dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **how) -> DataFrame:
     """The rows of ``docs`` with the first document of each class (least doc_id; of rows equal in it, one)."""
+    docs = without_columns(docs, "_key1", "_key2")
     found = join(docs, doc_id, text, **how)
-    away = found.where("class_id IS NOT NULL AND NOT (doc_id <=> class_id)").select(F.coalesce("doc_id", F.lit(-1)).alias("k1"), "k2").distinct()
-    kept = keyed(docs, doc_id, text).join(away, ["k1", "k2"], "left_anti")
-    return kept.dropDuplicates(["k1", "k2"]).select(docs.columns)
+    away = found.where("class_id IS NOT NULL AND NOT (doc_id <=> class_id)").select(F.coalesce("doc_id", F.lit(-1)).alias("_key1"), "_key2").distinct()
+    kept = keyed(docs, doc_id, text).join(away, ["_key1", "_key2"], "left_anti")
+    return kept.dropDuplicates(["_key1", "_key2"]).select(docs.columns)

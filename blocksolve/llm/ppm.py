@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType
 
 from blocksolve.llm import textkernel as tk
-from blocksolve.llm.common import materialize
+from blocksolve.llm.common import materialize, without_columns
 from blocksolve.llm.langid import merged
 
 ORDER = 5
@@ -275,6 +275,8 @@ def score(docs: DataFrame, model: Model, keep: list[str], text: str = "text", he
     Counts of the ``head`` most frequent words are broadcast (a fixed bound); the other words of a
     document meet their counts in a join, as (word, row) pairs that are added up within each row first.
     """
+    made_here = ("n_tokens", "n_known", "base_score", "score", "head_known", "head_log", "tail", "__row", "k", "l")
+    docs, keep = without_columns(docs, *made_here), [c for c in keep if c.lower() not in made_here]
     spark = docs.sparkSession
     order = model.trie.order
     common = model.words.orderBy(F.desc("n"), "code").limit(head).toArrow()

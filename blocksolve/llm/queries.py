@@ -7,10 +7,23 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blocksolve.llm import chat, langid, mixing, neardup, ppm, quality, substrings, warc
+from blocksolve.llm import chat, langid, mixing, nearest, neardup, ppm, quality, sentencepieces, substrings, warc
 from blocksolve.llm.common import read
 
 
+def piece_model() -> str:
+    """The public vocabulary that the queries use; the operator takes any file."""
+    import public_tokenizers
+
+    return public_tokenizers.path("piece_bpe_32k.model")
+
+
+def op1_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    back = sentencepieces.decode(sentencepieces.encode(docs, piece_model()), piece_model())
+    return back.select("doc_id", F.size("ids").alias("n_ids"), "ids", F.col("decoded").eqNullSafe(F.col("text")).alias("round_trip"))
+
+
 def op2_chat_snapshots(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.collapse_and_render(read(spark, sf_dir, "conversations"))
 
@@ -32,6 +45,11 @@ def op6_debruijn_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substrings.cut(read(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
+def op7_pivot_annuli(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = read(spark, sf_dir, "embeddings")
+    return nearest.top_k(rows, rows.where(F.col("vec_id") % 20 == 0))
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")).select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept"
@@ -60,8 +78,8 @@ def op10_ppm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_chat_snapshots, op3_ngram_jaccard, op4_warc_round_trip, op5_poisson_mixing, op6_debruijn_substrings, op8_quality_rules, op9_language_bitmask, op10_ppm_scores)}
+    return {f.__name__: f for f in (op1_sentencepiece, op2_chat_snapshots, op3_ngram_jaccard, op4_warc_round_trip, op5_poisson_mixing, op6_debruijn_substrings, op7_pivot_annuli, op8_quality_rules, op9_language_bitmask, op10_ppm_scores)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_chat_snapshots": chat.ORACLE, "op4_warc_round_trip": warc.ORACLE, "op5_poisson_mixing": mixing.ORACLE, "op8_quality_rules": quality.ORACLE}
+    return {"op2_chat_snapshots": chat.ORACLE, "op4_warc_round_trip": warc.ORACLE, "op5_poisson_mixing": mixing.ORACLE, "op7_pivot_annuli": nearest.ORACLE, "op8_quality_rules": quality.ORACLE}

@@ -16,7 +16,8 @@ into spans of words. An edge or piece is named by 128 bits: its minimizer's hash
 
 Words are ``[^\\x20\\x09-\\x0D]+``, unchanged. Defined results: a null or empty text has no words;
 texts shorter than ``k`` words keep everything; repeated rows repeat each other's windows. Rows are
-told apart by id and text, so ids may repeat or be null. Extra columns pass through.
+told apart by id and text, so ids may repeat or be null. Extra columns pass through; one
+named like a result is replaced.
 """
 
 from __future__ import annotations
@@ -31,7 +32,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructType
 
 from blocksolve.llm import textkernel as tk
-from blocksolve.llm.common import drop_table, materialize
+from blocksolve.llm.common import drop_table, materialize, without_columns
 
 WINDOW, SEED = 35, 10
 _U = np.uint64
@@ -39,7 +40,7 @@ _PLACE = _U(28)  # bits of a word's place beside its hash; a text of more words
 
 
 def keyed(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
-    return docs.withColumns({"k1": F.coalesce(F.col(doc_id).cast("long"), F.lit(-1)), "k2": F.xxhash64(text)})
+    return docs.withColumns({"_key1": F.coalesce(F.col(doc_id).cast("long"), F.lit(-1)), "_key2": F.xxhash64(text)})
 
 
 def _minimum(x: np.ndarray, w: int) -> np.ndarray:
@@ -85,7 +86,7 @@ def _pieces_of(k: int, seed: int):
                     yield pa.RecordBatch.from_arrays(
                         [pa.array(m.view(np.int64)), pa.array(s.view(np.int64)), batch.column(1).slice(lo, hi - lo).take(pa.array(row)),
                          batch.column(2).slice(lo, hi - lo).take(pa.array(row)), pa.array(start.astype(np.int32)), pa.array(edges.astype(np.int32))],
-                        ["m", "s", "k1", "k2", "start", "edges"],
+                        ["m", "s", "_key1", "_key2", "start", "edges"],
                     )
 
     return made
@@ -117,26 +118,26 @@ def _edges_of(k: int):
 
 
 def repeated_spans(docs: DataFrame, k: int = WINDOW, seed: int = SEED) -> DataFrame:
-    """k1, k2, spans: per text with repeated windows, its words in them as codes begin * 2**32 + end (they may overlap).
+    """_key1, _key2, spans: per text with repeated windows, its words in them as codes begin * 2**32 + end (they may overlap).
 
-    ``docs`` has k1, k2, doc_id and text.
+    ``docs`` has _key1, _key2, doc_id and text.
     """
-    pieces = materialize(docs.select("text", "k1", "k2").mapInArrow(_pieces_of(k, seed), "m long, s long, k1 long, k2 long, start int, edges int"), "pieces")
+    pieces = materialize(docs.select("text", "_key1", "_key2").mapInArrow(_pieces_of(k, seed), "m long, s long, _key1 long, _key2 long, start int, edges int"), "pieces")
     again = pieces.groupBy("m").agg(F.count("*").alias("c")).where("c > 1").select("m")
     met = materialize(pieces.join(again, "m", "left_semi"), "met")
     drop_table(pieces)
-    whole = met.groupBy("m", "s").agg(F.count("*").alias("n"), F.min(F.struct("k1", "k2", "start", "edges")).alias("at"))
+    whole = met.groupBy("m", "s").agg(F.count("*").alias("n"), F.min(F.struct("_key1", "_key2", "start", "edges")).alias("at"))
     whole = materialize(whole.select("m", "s", "n", "at.*"), "paths")
     forks = whole.groupBy("m").agg(F.count("*").alias("c")).where("c > 1").select("m")
-    asked = whole.join(forks, "m", "left_semi").groupBy("k1", "k2").agg(F.collect_list(F.struct("m", "s", "n", "start", "edges")).alias("ask"))
+    asked = whole.join(forks, "m", "left_semi").groupBy("_key1", "_key2").agg(F.collect_list(F.struct("m", "s", "n", "start", "edges")).alias("ask"))
     # repeated rows answer the same question twice, hence distinct
-    edges = docs.join(asked, ["k1", "k2"]).select("text", "ask", "doc_id").mapInArrow(_edges_of(k), "m long, s long, off int, n long, edge long").distinct()
+    edges = docs.join(asked, ["_key1", "_key2"]).select("text", "ask", "doc_id").mapInArrow(_edges_of(k), "m long, s long, off int, n long, edge long").distinct()
     many = edges.groupBy("m", "edge").agg(F.sum("n").alias("n")).where("n > 1").select("m", "edge")
     partly = edges.where("n = 1").join(many, ["m", "edge"], "left_semi").groupBy("m", "s").agg(F.collect_list("off").alias("offs"))
     told = whole.where("n > 1").select("m", "s", F.lit(None).cast("array<int>").alias("offs")).union(partly)
     span = lambda a, b: F.shiftleft((F.col("start") + a).cast("long"), 32) + F.col("start") + b
     spans = F.when(F.col("offs").isNull(), F.array(span(F.lit(0), F.col("edges") + (k - 1)))).otherwise(F.transform("offs", lambda o: span(o, o + k)))
-    return met.join(told, ["m", "s"]).select("k1", "k2", F.explode(spans).alias("span")).groupBy("k1", "k2").agg(F.collect_list("span").alias("spans"))
+    return met.join(told, ["m", "s"]).select("_key1", "_key2", F.explode(spans).alias("span")).groupBy("_key1", "_key2").agg(F.collect_list("span").alias("spans"))
 
 
 def cut(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", k: int = WINDOW, seed: int = SEED) -> DataFrame:
@@ -145,6 +146,7 @@ def cut(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", k: int = WI
     ``kept`` has the words left with the white space that followed each; the digest is over the
     words joined by one space.
     """
+    docs = without_columns(docs, "kept", "n_words", "n_removed", "kept_sha256", "_key1", "_key2", "spans")
     names = [c for c in docs.columns if c != text]
     known = keyed(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")), "doc_id", "text")
     spans = repeated_spans(known, k, seed)
@@ -158,7 +160,7 @@ def cut(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", k: int = WI
                 kept, words, removed, digest = without(rows.column(0), rows.column(1))
                 yield pa.RecordBatch.from_arrays([*rows.columns[2:], kept, words, removed, digest], schema.names)
 
-    return whole.join(spans, ["k1", "k2"], "left").select(text, "spans", *names).mapInArrow(made, schema)
+    return whole.join(spans, ["_key1", "_key2"], "left").select(text, "spans", *names).mapInArrow(made, schema)
 
 
 def without(texts: pa.Array, spans: pa.Array) -> tuple[pa.Array, pa.Array, pa.Array, pa.Array]:
