@@ -5,9 +5,13 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from blocksolve.llm.textkernel import mix
+
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
@@ -57,6 +61,44 @@ def uniform(*parts: Column) -> Column:
     return (F.conv(hexed, 16, 10).cast("double") + F.lit(0.5)) / F.lit(float(2**52))
 
 
+BLOOM_BITS = 1 << 27
+
+
+class Bloom:
+    """Membership of 64-bit keys in 16 MB whatever their number; beyond its size it lets more through, never less."""
+
+    HASHES = 3
+
+    def __init__(self, words: np.ndarray):
+        self.words = words
+
+    @classmethod
+    def places(cls, keys: np.ndarray):
+        h = mix(keys.view(np.uint64))
+        for i in range(cls.HASHES):
+            yield ((h >> np.uint64(18 * i)) & np.uint64(BLOOM_BITS - 1)).astype(np.int64)
+
+    @classmethod
+    def of(cls, keys: DataFrame) -> Bloom:
+        """From a frame of one long column. Tasks set bits, Spark merges words; the driver gets at most BLOOM_BITS / 64 rows."""
+
+        def bits(batches):
+            for b in batches:
+                for p in cls.places(b.column(0).to_numpy(zero_copy_only=False)):
+                    yield pa.RecordBatch.from_pydict({"word": pa.array(p >> 6), "mask": pa.array((np.uint64(1) << (p & 63).astype(np.uint64)).view(np.int64))})
+
+        got = keys.mapInArrow(bits, "word long, mask long").groupBy("word").agg(F.bit_or("mask").alias("mask")).toArrow()
+        words = np.zeros(BLOOM_BITS >> 6, np.uint64)
+        words[got["word"].to_numpy()] = got["mask"].to_numpy().view(np.uint64)
+        return cls(words)
+
+    def may_have(self, keys: np.ndarray) -> np.ndarray:
+        out = np.ones(len(keys), bool)
+        for p in self.places(keys):
+            out &= (self.words[p >> 6] >> (p & 63).astype(np.uint64)) & np.uint64(1) > 0
+        return out
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b", name: str = "cc") -> DataFrame:
     """Connected components of an undirected graph: (node, label), label the least node.
 

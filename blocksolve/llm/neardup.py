@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blocksolve.llm import textkernel as tk
-from blocksolve.llm.common import components, materialize, shuffle_partitions, without_columns
+from blocksolve.llm.common import Bloom, components, materialize, shuffle_partitions, without_columns
 from blocksolve.llm.substrings import keyed
 
 TREES, DEPTH, RECALL = 20, 8, 0.999
@@ -110,15 +110,18 @@ def cells(nodes: DataFrame) -> DataFrame:
     return components(links, "node", "hub", "cells").withColumnRenamed("label", "cell")
 
 
-def _sets_of(n: int):
+def _sets_of(n: int, wanted):
+    """The shingle sets of the texts that ``wanted`` (a broadcast Bloom filter of text hashes) may hold."""
+
     def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for whole in batches:
+            batch = whole.filter(pa.array(wanted.value.may_have(whole.column(2).to_numpy(zero_copy_only=False))))
             for lo, hi in tk.pieces(batch.column(0)):
                 h, at = shingles(batch.column(0).slice(lo, hi - lo), n)
                 sets = [np.unique(h[a:b]) for a, b in zip(at[:-1], at[1:], strict=True)]
                 ends = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
                 flat = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
-                yield pa.RecordBatch.from_arrays([batch.column(1).slice(lo, hi - lo), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat.view(np.int64)))], ["node", "set"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(c).slice(lo, hi - lo) for c in (1, 2)), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat.view(np.int64)))], ["_key1", "_key2", "set"])
 
     return made
 
@@ -211,8 +214,11 @@ def links_of(docs: DataFrame, nodes: DataFrame, n: int, threshold: float) -> Dat
     pairs = left.join(right, "cell").where((F.col("i") <= F.col("j")) & (F.col("hi") >= threshold * F.col("lo")) & ((F.col("i") < F.col("j")) | (F.col("m") > 1)))
     pairs = pairs.select("cell", "i", "j")
     goes = pairs.select("cell", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
-    sets = docs.join(member.select("_key1", "_key2", "node"), ["_key1", "_key2"]).dropDuplicates(["_key1", "_key2"]).select("text", "node").mapInArrow(_sets_of(n), "node long, set array<long>")
-    dealt = sets.join(member.select("cell", "node", "block", "copies"), "node").join(goes, ["cell", "block"])
+    # texts stay where they are: a filter of bounded size lets nearly only members' sets move on, and the join is exact
+    wanted = docs.sparkSession.sparkContext.broadcast(Bloom.of(member.select("_key2")))
+    sets = docs.select("text", "_key1", "_key2").mapInArrow(_sets_of(n, wanted), "_key1 long, _key2 long, set array<long>")
+    sets = sets.join(member.select("_key1", "_key2", "cell", "node", "block", "copies"), ["_key1", "_key2"]).dropDuplicates(["node"])
+    dealt = sets.join(goes, ["cell", "block"])
     dealt = dealt.select("cell", "i", "j", "node", "block", "copies", "set").repartition(shuffle_partitions(docs.sparkSession), "cell", "i", "j").sortWithinPartitions("cell", "i", "j")
     return dealt.mapInArrow(_verify(threshold), "node long, hub long, links long, linked long")
 
