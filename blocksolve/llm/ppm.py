@@ -258,15 +258,16 @@ class Model:
     words: DataFrame  # code, n of every learned token
     tokens: int
     distinct: int
+    ends: int  # how often the end token was learned: once a text
 
 
 def train(learn: DataFrame, text: str = "text", order: int = ORDER, nodes: int = NODES) -> Model:
     counted = materialize(count(learn, text, order), "ppm-counts")
     top = counted.where(F.col("kind") == GRAM).orderBy(F.desc("n"), "code").limit(nodes).select("code", "n").toArrow()
     words = counted.where(F.col("kind") == WORD).select("code", "n")
-    sums = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("tokens"), F.count("*").alias("distinct")).first()
+    sums = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("tokens"), F.count("*").alias("distinct"), F.coalesce(F.sum(F.when(F.col("code") == np.uint64(END_WORD).view(np.int64).item(), F.col("n"))), F.lit(0)).alias("ends")).first()
     trie = Trie(top["code"].to_numpy().view(np.uint64), top["n"].to_numpy(), order)
-    return Model(trie, words, sums["tokens"], sums["distinct"])
+    return Model(trie, words, sums["tokens"], sums["distinct"], sums["ends"])
 
 
 def score(docs: DataFrame, model: Model, keep: list[str], text: str = "text", head: int = HEAD) -> DataFrame:
@@ -284,7 +285,7 @@ def score(docs: DataFrame, model: Model, keep: list[str], text: str = "text", he
     sort = np.argsort(code)
     table = Lookup(code[sort])
     counts = np.append(common["n"].to_numpy()[sort][table.order], 0)
-    whole_head = model.distinct <= head
+    whole_head, ends_known = model.distinct <= head, model.ends
     shared = spark.sparkContext.broadcast((model.trie, table, counts))
     extra = [c for c in keep if c != text]
     schema = docs.select(*keep).schema.add("n_tokens", "long").add("head_known", "long").add("head_log", "double").add("score", "double").add("tail", ArrayType(LongType()))
@@ -304,13 +305,12 @@ def score(docs: DataFrame, model: Model, keep: list[str], text: str = "text", he
                 logn = np.concatenate([[0.0], np.cumsum(np.where(known, np.log10(times[at] + 1.0), 0.0))])
                 ks = np.concatenate([[0], np.cumsum(known)])
                 r = w.row_at
-                end_n = int(times[words.find(np.array([END_WORD], np.uint64))[0]])  # a place of -1 holds 0
                 rare = np.flatnonzero(~known) if not whole_head else np.zeros(0, np.int64)
                 tail = pa.ListArray.from_arrays(pa.array(np.searchsorted(rare, r).astype(np.int32)), pa.array(w.hash[rare].view(np.int64)))
                 cols = {c: batch.column(j + 1).slice(lo, hi - lo) for j, c in enumerate(extra)} | {text: part}
                 yield pa.RecordBatch.from_arrays(
-                    [*(cols[c] for c in keep), pa.array(np.diff(r) + 1), pa.array(ks[r[1:]] - ks[r[:-1]] + (end_n > 0)),
-                     pa.array(logn[r[1:]] - logn[r[:-1]] + math.log10(end_n + 1)), pa.array(logs[ends[1:]] - logs[ends[:-1]]), tail],
+                    [*(cols[c] for c in keep), pa.array(np.diff(r) + 1), pa.array(ks[r[1:]] - ks[r[:-1]] + (ends_known > 0)),
+                     pa.array(logn[r[1:]] - logn[r[:-1]] + math.log10(ends_known + 1)), pa.array(logs[ends[1:]] - logs[ends[:-1]]), tail],
                     [*keep, "n_tokens", "head_known", "head_log", "score", "tail"],
                 )
 
