@@ -116,14 +116,13 @@ def trace(rays: DataFrame, shape: tuple[int, ...], box: tuple | None = None) ->
         lo.append(F.when(still, F.when(outside, 2.0).otherwise(0.0)).otherwise(F.least(t1, t2)))
         hi.append(F.when(still, F.when(outside, -1.0).otherwise(1.0)).otherwise(F.greatest(t1, t2)))
     df = df.withColumns({"t0": F.greatest(*lo), "t1": F.least(*hi)}).where("t0 < t1")
-    planes = [
-        F.filter(
-            F.transform(F.sequence(F.lit(0), F.lit(n[a])), lambda i, a=a: F.when(F.abs(F.col(f"d{a}")) >= 1e-12, (i - n[a] / 2 - F.col(f"src.{a}")) / F.col(f"d{a}"))),
-            lambda t: (t > F.col("t0")) & (t < F.col("t1")),
-        )
-        for a in axes
-    ]
-    df = df.withColumn("ts", F.array_sort(F.concat(F.array("t0", "t1"), *planes)))
+
+    def crossings(a: str) -> Column:
+        """Where the ray meets the axis's planes, between its entry and its exit."""
+        every = F.transform(F.sequence(F.lit(0), F.lit(n[a])), lambda i: F.when(F.abs(F.col(f"d{a}")) >= 1e-12, (i - n[a] / 2 - F.col(f"src.{a}")) / F.col(f"d{a}")))
+        return F.filter(every, lambda t: (t > F.col("t0")) & (t < F.col("t1")))
+
+    df = df.withColumn("ts", F.array_sort(F.concat(F.array("t0", "t1"), *[crossings(a) for a in axes])))
     df = df.select("rb", "row_id", "view", "sub", "src", "ray", *[f"d{a}" for a in axes], F.explode(F.expr("transform(slice(ts, 1, size(ts) - 1), (t, i) -> struct(t AS t, ts[i + 1] AS u))")).alias("part"))
     mid = (F.col("part.t") + F.col("part.u")) / 2
     df = df.withColumn("val", (F.col("part.u") - F.col("part.t")) * F.col("ray")).where(F.col("val") > SHORT)

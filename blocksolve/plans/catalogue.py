@@ -7,10 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from blocksolve.operators import solver
-from blocksolve.plans import blocks
+from blocksolve.plans import blocks, geometry, streams
 from blocksolve.schema import SolveSpec
 
-MODULES = [blocks]
+MODULES = [blocks, geometry, streams]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
