@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blocksolve.llm.common import shuffle_partitions, uniform, without_columns
+from blocksolve.llm.common import materialize, shuffle_partitions, uniform, without_columns
 
 STEP = 8.0
 TERMS = 64  # P(Poisson(8) > 64) < 1e-32, below one step of the uniform
@@ -66,7 +66,8 @@ def mix(docs: DataFrame, weights: dict[str, float] | None = None, temperature: f
     """The rows of ``docs``, each as often as drawn, with ``copy_no`` from 1, dealt out in hashed order."""
     docs = without_columns(docs, "copy_no", "__mix_source", "__mix_copies", "__mix_place", "rate", "parts", "cdf")
     names = docs.columns
-    law = with_cdf(rates(docs.select(source, text), weights, temperature, source, text)).withColumnRenamed(source, "__mix_source")
+    # written, so that its size is known before the join is planned: Spark broadcasts it only below its limit
+    law = materialize(with_cdf(rates(docs.select(source, text), weights, temperature, source, text)).withColumnRenamed(source, "__mix_source"), "rates")
     n = shuffle_partitions(docs.sparkSession)
     drawn = docs.join(law, docs[source].eqNullSafe(law["__mix_source"]), "left").withColumn(
         "__mix_copies", copies(F.coalesce("parts", F.lit(1)), F.col("cdf"), docs[doc_id], seed)
