@@ -7,10 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from blocksolve.operators import solver
-from blocksolve.plans import blocks, geometry, streams
+from blocksolve.plans import blocks, geometry, operators, streams, workloads
 from blocksolve.schema import SolveSpec
 
-MODULES = [blocks, geometry, streams]
+MODULES = [blocks, geometry, operators, streams, workloads]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
