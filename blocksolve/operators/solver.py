@@ -93,18 +93,18 @@ def density_of(system: LinearSystem) -> DataFrame:
 
 
 def epochs_lazily(system: LinearSystem, spec: SolveSpec, n_rows: int, col_blocks: list[int]) -> State:
-    """A few epochs without measures. Up to two rounds are one plan; beyond, x and z are committed every second round, as
-    each round's plan uses the last state several times."""
+    """A few epochs without measures. One round is one plan; x and z are committed between rounds, as each round's plan uses the
+    last state several times and would double with every round."""
     state, d, done = start(system), density_of(system), 0
     for epoch in range(1, spec.epochs + 1):
         drawn = sampling.draw_col_blocks(col_blocks, spec, epoch)
         for cbs in rounds(drawn, spec.refresh):
             picks = sampling.draw_row_blocks(d, system.rows, n_rows, spec, epoch, cbs)
-            if done and done % 2 == 0:
+            if done:
                 x, z = commit(state.x, "x"), commit(state.z, "z")
                 true = spec.residual == "true"
                 state = State(x, z, step.true_residual(system.entries, system.y, x) if true else step.surrogate_residual(system.y, z))
-                d = commit(d, "density") if done == 2 else d
+                d = commit(d, "density") if done == 1 else d
             state = round_of(system, state, picks, spec, len(cbs))
             done += 1
     return state
