@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from blocksolve.functions import geometry
 from blocksolve.functions.hashing import gaussian, uniform
 from blocksolve.schema import LinearSystem
+from blocksolve.sources.store import commit
 from blocksolve.sources.tables import table
 
 Parts = tuple[DataFrame, DataFrame, DataFrame]
@@ -133,7 +134,8 @@ def terms(spark: SparkSession, sf_dir: str, least: int = 20) -> Parts:
     """Documents by terms of ``least`` documents or more, counts. Row blocks are languages, column blocks the language where a term is most frequent."""
     docs = table(spark, sf_dir, "documents", "doc_id", "lang", "source", "text")
     langs = docs.select("lang").distinct().select("lang", (F.dense_rank().over(_by("lang")) - 1).alias("l"))  # a few rows
-    counted = tokens(docs).groupBy("doc_id", "lang", "term").agg(F.count("*").alias("n"))
+    # written once: the terms' frequencies and the entries both need it, and texts are read and split only here
+    counted = commit(tokens(docs).groupBy("doc_id", "lang", "term").agg(F.count("*").alias("n")), "counted")
     per = counted.groupBy("term", "lang").agg(F.count("*").alias("df"))
     home = per.groupBy("term").agg(F.sum("df").alias("df"), F.max_by("lang", F.struct("df", "lang")).alias("home")).where(F.col("df") >= least)
     # the first 12 hexadecimal digits of md5 name a term: 48 bits, exact in any engine
