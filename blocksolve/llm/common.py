@@ -64,6 +64,22 @@ def uniform(*parts: Column) -> Column:
     return (F.conv(hexed, 16, 10).cast("double") + F.lit(0.5)) / F.lit(float(2**52))
 
 
+#: heaviest keys that joins treat apart; a key not among them holds less than 1 / HOT_KEYS of the rows
+HOT_KEYS = 256
+
+
+def heaviest(keys: DataFrame, count: str) -> DataFrame:
+    """The HOT_KEYS rows of ``keys`` (one row a key, narrow) that stand for most rows: a local frame of that size at most."""
+    return keys.sparkSession.createDataFrame(keys.orderBy(F.desc(count)).limit(HOT_KEYS).collect(), keys.schema)
+
+
+def join_apart(rows: DataFrame, keys: DataFrame, hot: DataFrame, on: list[str]) -> DataFrame:
+    """Inner join of ``rows`` with ``keys`` (one row a key): rows of the ``hot`` keys stay where they are, the others shuffle."""
+    near = rows.join(F.broadcast(hot), on)
+    far = rows.join(F.broadcast(hot.select(*on)), on, "left_anti").join(keys, on)
+    return near.unionByName(far)
+
+
 BLOOM_BITS = 1 << 27
 
 

@@ -12,7 +12,8 @@ so they can only meet in one bucket:
    piece fetches its edges from the text there, and edges are counted one by one.
 
 Joins on (minimizer, piece) carry the verdicts back to every source coordinate; adjoining pieces merge
-into spans of words. An edge or piece is named by 128 bits: its minimizer's hash and its own.
+into spans of words. The rows of the most frequent minimizers, pieces and edges do not move in these joins, so a
+passage of a third of all texts does not meet in one task. An edge or piece is named by 128 bits: its minimizer's hash and its own.
 
 Words are ``[^\\x20\\x09-\\x0D]+``, unchanged. Defined results: a null or empty text has no words;
 texts shorter than ``k`` words keep everything; repeated rows repeat each other's windows. Rows are
@@ -32,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructType
 
 from blocksolve.llm import textkernel as tk
-from blocksolve.llm.common import drop_table, materialize, without_columns
+from blocksolve.llm.common import drop_table, heaviest, join_apart, materialize, without_columns
 
 WINDOW, SEED = 35, 10
 _U = np.uint64
@@ -123,21 +124,25 @@ def repeated_spans(docs: DataFrame, k: int = WINDOW, seed: int = SEED) -> DataFr
     ``docs`` has _key1, _key2, doc_id and text.
     """
     pieces = materialize(docs.select("text", "_key1", "_key2").mapInArrow(_pieces_of(k, seed), "m long, s long, _key1 long, _key2 long, start int, edges int"), "pieces")
-    again = pieces.groupBy("m").agg(F.count("*").alias("c")).where("c > 1").select("m")
-    met = materialize(pieces.join(again, "m", "left_semi"), "met")
+    again = materialize(pieces.groupBy("m").agg(F.count("*").alias("c")).where("c > 1"), "again")
+    met = materialize(join_apart(pieces, again, heaviest(again, "c"), ["m"]).drop("c"), "met")
     drop_table(pieces)
     whole = met.groupBy("m", "s").agg(F.count("*").alias("n"), F.min(F.struct("_key1", "_key2", "start", "edges")).alias("at"))
     whole = materialize(whole.select("m", "s", "n", "at.*"), "paths")
-    forks = whole.groupBy("m").agg(F.count("*").alias("c")).where("c > 1").select("m")
-    asked = whole.join(forks, "m", "left_semi").groupBy("_key1", "_key2").agg(F.collect_list(F.struct("m", "s", "n", "start", "edges")).alias("ask"))
+    forks = materialize(whole.groupBy("m").agg(F.count("*").alias("c")).where("c > 1"), "forks")
+    asked = join_apart(whole, forks, heaviest(forks, "c"), ["m"]).groupBy("_key1", "_key2").agg(F.collect_list(F.struct("m", "s", "n", "start", "edges")).alias("ask"))
     # repeated rows answer the same question twice, hence distinct
     edges = docs.join(asked, ["_key1", "_key2"]).select("text", "ask", "doc_id").mapInArrow(_edges_of(k), "m long, s long, off int, n long, edge long").distinct()
-    many = edges.groupBy("m", "edge").agg(F.sum("n").alias("n")).where("n > 1").select("m", "edge")
-    partly = edges.where("n = 1").join(many, ["m", "edge"], "left_semi").groupBy("m", "s").agg(F.collect_list("off").alias("offs"))
-    told = whole.where("n > 1").select("m", "s", F.lit(None).cast("array<int>").alias("offs")).union(partly)
+    edges = materialize(edges, "edges")
+    many = edges.groupBy("m", "edge").agg(F.sum("n").alias("c"), F.max(F.col("n") == 1).alias("once")).where("c > 1 AND once").select("m", "edge", "c")
+    many = materialize(many, "many")
+    partly = join_apart(edges.where("n = 1"), many, heaviest(many, "c"), ["m", "edge"]).groupBy("m", "s").agg(F.collect_list("off").alias("offs"))
+    all_edges = F.lit(None).cast("array<int>").alias("offs")
+    told = whole.where("n > 1").select("m", "s", all_edges).union(partly)
+    hot = heaviest(whole.where("n > 1").select("m", "s", "n"), "n").select("m", "s", all_edges)
     span = lambda a, b: F.shiftleft((F.col("start") + a).cast("long"), 32) + F.col("start") + b
     spans = F.when(F.col("offs").isNull(), F.array(span(F.lit(0), F.col("edges") + (k - 1)))).otherwise(F.transform("offs", lambda o: span(o, o + k)))
-    return met.join(told, ["m", "s"]).select("_key1", "_key2", F.explode(spans).alias("span")).groupBy("_key1", "_key2").agg(F.collect_list("span").alias("spans"))
+    return join_apart(met, told, hot, ["m", "s"]).select("_key1", "_key2", F.explode(spans).alias("span")).groupBy("_key1", "_key2").agg(F.collect_list("span").alias("spans"))
 
 
 def cut(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", k: int = WINDOW, seed: int = SEED) -> DataFrame:
@@ -197,3 +202,18 @@ def without(texts: pa.Array, spans: pa.Array) -> tuple[pa.Array, pa.Array, pa.Ar
     left, at = w.data[stay].tobytes(), np.concatenate([[0], np.cumsum(stay)])[w.bounds]
     kept = pa.StringArray.from_buffers(len(texts), pa.py_buffer(at.astype(np.int32)), pa.py_buffer(left))
     return kept, pa.array(n_words), pa.array(n_removed), pa.array(digest, pa.string())
+
+
+ORACLE = r"""
+WITH split AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+starts AS (SELECT doc_id, w, unnest(range(1, len(w) - 33)) AS i FROM split WHERE len(w) >= 35),
+named AS (SELECT doc_id, i, md5(array_to_string(w[i:i + 34], ' ')) AS name FROM starts),
+again AS (SELECT doc_id, i FROM named QUALIFY count(*) OVER (PARTITION BY name) > 1),
+gone AS (SELECT DISTINCT doc_id, unnest(range(i, i + 35)) AS pos, true AS lost FROM again),
+words AS (SELECT doc_id, unnest(w) AS word, generate_subscripts(w, 1) AS pos FROM split),
+counted AS (
+  SELECT doc_id, count(*) AS n_words, count(lost) AS n_removed, string_agg(word, ' ' ORDER BY pos) FILTER (WHERE lost IS NULL) AS kept
+  FROM words LEFT JOIN gone USING (doc_id, pos) GROUP BY doc_id)
+SELECT d.doc_id, CAST(coalesce(n_words, 0) AS BIGINT) AS n_words, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+FROM documents d LEFT JOIN counted USING (doc_id)
+"""
