@@ -7,11 +7,11 @@ shortened from ``DEPTH`` until a pair at the threshold shares some trie's prefix
 (1 - (1 - t^d)^TREES). Nodes under one prefix join their least node, so a bucket of m nodes is m - 1
 links, never all pairs; the connected cells of those links hold all candidates.
 
-Inside a cell every pair is verified exactly: nodes are ordered by set size and cut into blocks of
-at most ``BLOCK`` nodes and ``LOAD`` shingles, and each pair of blocks that the size ratio allows is one task
-of set intersections (a product of 0/1 matrices over the shingles that occur twice). A task returns
-per node how many links it found and one row to its local class, so rows stay in
-proportion to nodes, though every link is counted. Classes are the connected components.
+Inside a cell every pair is verified exactly: nodes fall into narrow classes of set size, and classes, in order of size, into
+blocks of about ``BLOCK`` nodes and ``LOAD`` shingles (a larger class is dealt by hash into several; a block holds the
+ends of two at most). Each pair of blocks that the size ratio allows is one group of set intersections (a product
+of 0/1 matrices over the shingles that occur twice). It returns per node how many links it found and one row to its
+local class, so rows stay in proportion to nodes, though every link is counted. Classes are the connected components.
 
 Defined results: a null text, or one without words, has no links and is a class of its own; copies count as links of
 each other; class_id is the least doc_id of the class; repeated rows are copies; rows whose ids are
@@ -28,11 +28,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blocksolve.llm import textkernel as tk
-from blocksolve.llm.common import Bloom, components, materialize, shuffle_partitions, without_columns
+from blocksolve.llm.common import Bloom, components, drop_table, heaviest, join_apart, materialize, shuffle_partitions, without_columns
 from blocksolve.llm.substrings import keyed
 
 TREES, DEPTH, RECALL = 20, 8, 0.999
 BLOCK, LOAD = 256, 1 << 20
+CLASSES = 16  # of set size to a doubling
 _RNG = np.random.Generator(np.random.PCG64(31))
 _XOR = _RNG.integers(0, 2**32, TREES * DEPTH, dtype=np.uint64).astype(np.uint32)
 _MUL = _RNG.integers(0, 2**32, TREES * DEPTH, dtype=np.uint64).astype(np.uint32) | np.uint32(1)
@@ -205,10 +206,17 @@ def links_of(docs: DataFrame, nodes: DataFrame, n: int, threshold: float) -> Dat
     member = cells(nodes).join(
         nodes.where("node IS NOT NULL").groupBy("node").agg(F.count("*").alias("copies"), F.first("size").alias("size"), F.min(F.struct("_key1", "_key2")).alias("at")), "node"
     )
-    order = Window.partitionBy("cell").orderBy("size", "node")
-    upto = order.rowsBetween(Window.unboundedPreceding, 0)
-    block = F.greatest(F.floor((F.row_number().over(order) - 1) / BLOCK), F.floor(F.sum("size").over(upto) / LOAD)).cast("int")
-    member = materialize(member.select("cell", "node", "copies", "size", "at._key1", "at._key2", block.alias("block")), "members")
+    told = materialize(member.select("cell", "node", "copies", "size", F.floor(F.log2("size") * CLASSES).cast("int").alias("class"), "at._key1", "at._key2"), "sized")
+    kinds = told.groupBy("cell", "class").agg(F.count("*").alias("c"), F.sum("size").alias("load"))
+    # at most CLASSES * 31 rows a cell, however many nodes it has
+    before = Window.partitionBy("cell").orderBy("class").rowsBetween(Window.unboundedPreceding, -1)
+    blocks = lambda c, load: F.greatest(F.col(c) / BLOCK, F.col(load) / LOAD)
+    kinds = kinds.withColumns({"c0": F.coalesce(F.sum("c").over(before), F.lit(0)), "load0": F.coalesce(F.sum("load").over(before), F.lit(0))})
+    kinds = materialize(kinds.select("cell", "class", "c", F.floor(blocks("c0", "load0")).alias("base"), F.ceil(blocks("c", "load")).alias("parts")), "kinds")
+    block = (F.col("base") + F.pmod(F.xxhash64("node"), "parts")).cast("int")
+    member = join_apart(told, kinds, heaviest(kinds, "c"), ["cell", "class"]).select("cell", "node", "copies", "size", "_key1", "_key2", block.alias("block"))
+    member = materialize(member, "members")
+    drop_table(told)
     span = member.groupBy("cell", "block").agg(F.min("size").alias("lo"), F.max("size").alias("hi"), F.count("*").alias("members"))
     left, right = span.select("cell", F.col("block").alias("i"), F.col("hi").alias("hi"), F.col("members").alias("m")), span.select("cell", F.col("block").alias("j"), "lo")
     pairs = left.join(right, "cell").where((F.col("i") <= F.col("j")) & (F.col("hi") >= threshold * F.col("lo")) & ((F.col("i") < F.col("j")) | (F.col("m") > 1)))
@@ -251,3 +259,23 @@ def dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **how) ->
     away = found.where("class_id IS NOT NULL AND NOT (doc_id <=> class_id)").select(F.coalesce("doc_id", F.lit(-1)).alias("_key1"), "_key2").distinct()
     kept = keyed(docs, doc_id, text).join(away, ["_key1", "_key2"], "left_anti")
     return kept.dropDuplicates(["_key1", "_key2"]).select(docs.columns)
+
+
+#: all pairs that share a shingle, compared exactly; classes by following links
+ORACLE = r"""
+WITH RECURSIVE split AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+grams AS (
+  SELECT doc_id, hash(unnest(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')] ELSE list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) END)) AS g
+  FROM split),
+sets AS (SELECT DISTINCT doc_id, g FROM grams),
+sizes AS (SELECT doc_id, count(*) AS n FROM sets GROUP BY doc_id),
+meets AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS common FROM sets a JOIN sets b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY ALL),
+links AS (
+  SELECT a, b, common = x.n AND common = y.n AS same FROM meets JOIN sizes x ON x.doc_id = a JOIN sizes y ON y.doc_id = b
+  WHERE 10 * common >= 8 * (x.n + y.n - common)),
+reach AS (SELECT doc_id AS a, doc_id AS b FROM documents UNION SELECT r.a, l.b FROM reach r JOIN links l ON l.a = r.b),
+class AS (SELECT a AS doc_id, min(b) AS class_id FROM reach GROUP BY a),
+per AS (SELECT a AS doc_id, count(*) AS n_links, min(b) FILTER (WHERE same) AS least FROM links GROUP BY a)
+SELECT d.doc_id, class_id, least(d.doc_id, coalesce(p.least, d.doc_id)) AS copy_of, CAST(coalesce(n_links, 0) AS BIGINT) AS n_links
+FROM documents d JOIN class USING (doc_id) LEFT JOIN per p USING (doc_id)
+"""
