@@ -82,4 +82,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_chat_snapshots": chat.ORACLE, "op4_warc_round_trip": warc.ORACLE, "op5_poisson_mixing": mixing.ORACLE, "op7_pivot_annuli": nearest.ORACLE, "op8_quality_rules": quality.ORACLE}
+    return {"op2_chat_snapshots": chat.ORACLE, "op3_ngram_jaccard": neardup.ORACLE, "op4_warc_round_trip": warc.ORACLE, "op5_poisson_mixing": mixing.ORACLE, "op6_debruijn_substrings": substrings.ORACLE, "op7_pivot_annuli": nearest.ORACLE, "op8_quality_rules": quality.ORACLE}
