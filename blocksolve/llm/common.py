@@ -122,8 +122,9 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", name: str = "cc") -
     """Connected components of an undirected graph: (node, label), label the least node.
 
     Alternates large-star and small-star rounds (Kiveris et al. 2014); each round is two
-    aggregations whose rows stay within the number of edges. Rounds are written to the shared
-    folder, so lineage stays short. The driver reads one aggregate row a round.
+    aggregations whose rows stay within the number of edges, and the edges of the nodes with most
+    neighbours do not move in the join. Rounds are written to the shared
+    folder, so lineage stays short. The driver reads one aggregate row and HOT_KEYS nodes a round.
     """
     cur = materialize(
         edges.select(F.col(a).cast("long").alias("u"), F.col(b).cast("long").alias("v")).where("u <> v").distinct(), name
@@ -131,8 +132,8 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", name: str = "cc") -
     seen = None
     while True:
         both = cur.select("u", "v").union(cur.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        near = materialize(both.groupBy("u").agg(F.least("u", F.min("v")).alias("m"), F.count("*").alias("c")), name)
+        large = join_apart(both, near, heaviest(near, "c"), ["u"]).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         down = large.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u <> v")
         low = down.groupBy("u").agg(F.min("v").alias("m"))
         small = (
@@ -144,6 +145,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", name: str = "cc") -
         )
         last, cur = cur, materialize(small, name)
         drop_table(last)
+        drop_table(near)
         # order-free digest of the edge set: a fixed point is a forest of stars
         row = cur.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("u", "v")).alias("x")).first()
         if (row["n"], row["x"]) == seen:
