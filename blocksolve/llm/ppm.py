@@ -9,8 +9,12 @@ escape depends on the longer context alone: one pair of sums per context makes e
 and a batch is scored with array operations.
 
 Counting covers every learning text: a task adds up the (order + 1)-grams of its share and Spark
-sums them. The trie that is broadcast holds at most ``nodes`` (order + 1)-grams, the most frequent
-(ties: the lesser code); the bound is a parameter, as for any compressor with a memory limit.
+sums them. The model is all of them, in a written table. Its orders below ``SPLIT`` (256^SPLIT codes
+at most, whatever the input) are one trie; the higher orders are tries of one part each, where a part
+has all grams with the same last SPLIT context bytes (256^(order + 1 - SPLIT) at most). The ``nodes``
+most frequent grams (ties: the lesser code) are broadcast with their final code lengths; every other
+gram of a document, learned or not, is looked up by a join, as (gram, row) pairs that are added up
+within each row first. ``nodes`` moves work between the two ways and changes no score.
 ``adaptive`` instead codes each document with a trie of its own that grows as it goes.
 
 Texts are lower-cased (A-Z). A text is its bytes and one end symbol (byte FF, which UTF-8 never
@@ -26,17 +30,19 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType
 
 from blocksolve.llm import textkernel as tk
-from blocksolve.llm.common import materialize, without_columns
+from blocksolve.llm.common import heaviest, join_apart, materialize, shuffle_partitions, without_columns
 from blocksolve.llm.langid import merged
 
 ORDER = 5
 NODES = 1 << 20
 HEAD = 1 << 18
+SPLIT = 3
+CHUNK = 1 << 18  # rows of whole parts that become one trie
 GRAM, WORD = 0, 1
 END_WORD = 0x5E2D58D8B3BCDEF1  # names the end token among word hashes
 _U = np.uint64
@@ -119,25 +125,25 @@ class Level:
 
 
 class Trie:
-    def __init__(self, code: np.ndarray, n: np.ndarray, order: int):
-        self.order, self.levels = order, []
+    """Orders 0 to ``order`` of the grams. With ``base``, its orders are taken as they are and ``code`` may hold whole parts only."""
+
+    def __init__(self, code: np.ndarray, n: np.ndarray, order: int, base: Trie | None = None):
+        self.order, self.levels = order, list(base.levels) if base else []
+        first = len(self.levels)
         code = code.astype(np.uint64)
         tables = []
-        for k in range(order, -1, -1):
+        for k in range(order, first - 1, -1):
             code, n = merged([(code & _U((1 << (8 * (k + 1))) - 1), n)]) if len(code) else (code, n)
             tables.append((code, n))
         tables.reverse()
-        sums = []
-        for code, n in tables:
-            ctx, inv = np.unique(code >> _U(8), return_inverse=True)
-            sums.append((ctx, inv, np.bincount(inv, n, len(ctx)), np.bincount(inv, minlength=len(ctx)).astype(float)))
+        low = base.top if base else None
         with np.errstate(divide="ignore", invalid="ignore"):
-            for k, (code, n) in enumerate(tables):
-                ctx, inv, total, distinct = sums[k]
+            for k, (code, n) in enumerate(tables, first):
+                ctx, inv = np.unique(code >> _U(8), return_inverse=True)
+                total, distinct = np.bincount(inv, n, len(ctx)), np.bincount(inv, minlength=len(ctx)).astype(float)
                 symbols, contexts = Lookup(code), Lookup(ctx)
                 if k:
-                    low_code, low_n = tables[k - 1]
-                    low_ctx, _, low_total, low_distinct = sums[k - 1]
+                    low_code, low_n, low_ctx, low_total, low_distinct = low
                     at = np.searchsorted(low_code, code & _U((1 << (8 * k)) - 1))
                     up = np.searchsorted(low_ctx, ctx & _U((1 << (8 * (k - 1))) - 1)) if k > 1 else np.zeros(len(ctx), np.int64)
                     rest = low_total[up] - np.bincount(inv, low_n[at], len(ctx))
@@ -152,7 +158,9 @@ class Trie:
                     Level(symbols, sort(np.log10(n - 0.5) - np.log10(total[inv]), symbols), sort(np.log10(n - 0.5), symbols), contexts,
                           sort(np.log10(distinct / 2) - np.log10(total), contexts), sort(log_rest, contexts), sort(log_next, contexts))
                 )
-        for level in self.levels:
+                low = code, n, ctx, total, distinct
+        self.top = low  # the highest order's counts
+        for level in self.levels[first:]:
             level.symbols.order = level.contexts.order = None  # only needed to sort the values
 
     def log10(self, code: np.ndarray) -> np.ndarray:
@@ -254,7 +262,10 @@ def count(learn: DataFrame, text: str = "text", order: int = ORDER) -> DataFrame
 
 @dataclass
 class Model:
-    trie: Trie
+    order: int
+    base: Trie  # orders below SPLIT
+    grams: DataFrame  # code, n of every learned (order + 1)-gram
+    head: tuple[np.ndarray, np.ndarray]  # the most frequent grams, log10 of their probabilities
     words: DataFrame  # code, n of every learned token
     tokens: int
     distinct: int
@@ -263,42 +274,103 @@ class Model:
 
 def train(learn: DataFrame, text: str = "text", order: int = ORDER, nodes: int = NODES) -> Model:
     counted = materialize(count(learn, text, order), "ppm-counts")
-    top = counted.where(F.col("kind") == GRAM).orderBy(F.desc("n"), "code").limit(nodes).select("code", "n").toArrow()
+    grams = counted.where(F.col("kind") == GRAM).select("code", "n")
+    below = min(order, SPLIT - 1)
+    low = grams.groupBy(F.col("code").bitwiseAND((1 << (8 * (below + 1))) - 1).alias("code")).agg(F.sum("n").alias("n")).toArrow()
+    base = Trie(low["code"].to_numpy().view(np.uint64), low["n"].to_numpy(), below)
+    # a learned gram is found at the longest context: its share of that context is all its code length needs
+    whole = grams.withColumn("total", F.sum("n").over(Window.partitionBy(F.shiftrightunsigned("code", 8))))
+    top = whole.orderBy(F.desc("n"), "code").limit(nodes).toArrow()
+    head = top["code"].to_numpy().view(np.uint64), np.log10(top["n"].to_numpy() - 0.5) - np.log10(top["total"].to_numpy())
     words = counted.where(F.col("kind") == WORD).select("code", "n")
     sums = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("tokens"), F.count("*").alias("distinct"), F.coalesce(F.sum(F.when(F.col("code") == np.uint64(END_WORD).view(np.int64).item(), F.col("n"))), F.lit(0)).alias("ends")).first()
-    trie = Trie(top["code"].to_numpy().view(np.uint64), top["n"].to_numpy(), order)
-    return Model(trie, words, sums["tokens"], sums["distinct"], sums["ends"])
+    return Model(order, base, grams, head, words, sums["tokens"], sums["distinct"], sums["ends"])
+
+
+def part_of(code: str) -> Column:
+    """The last SPLIT context bytes of a gram."""
+    return F.shiftright(code, 8).bitwiseAND((1 << (8 * SPLIT)) - 1)
+
+
+def answer(asked: DataFrame, model: Model) -> DataFrame:
+    """``asked`` (code, c; one row each) with log10, the code's in the whole model; orders of SPLIT and more."""
+    shared, order = asked.sparkSession.sparkContext.broadcast(model.base), model.order
+    both = model.grams.select("code", "n", F.lit(0).cast("long").alias("c")).unionByName(asked.select("code", F.lit(0).cast("long").alias("n"), "c"))
+    dealt = both.withColumn("part", part_of("code")).repartition(shuffle_partitions(asked.sparkSession), "part").sortWithinPartitions("part")
+
+    def told(rows: list[np.ndarray]) -> pa.RecordBatch:
+        code, n, c, part = rows
+        ask = c > 0
+        learned = ~ask & np.isin(part, part[ask])
+        trie = Trie(code[learned].view(np.uint64), n[learned], order, shared.value)
+        return pa.RecordBatch.from_pydict({"code": pa.array(code[ask]), "c": pa.array(c[ask]), "log10": pa.array(trie.log10(code[ask].view(np.uint64)))})
+
+    def tell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+        for batch in batches:
+            held.append([x.to_numpy(zero_copy_only=False) for x in batch.columns])
+            size += batch.num_rows
+            if size > CHUNK:
+                rows = [np.concatenate(x) for x in zip(*held)]
+                cut = int(np.searchsorted(rows[3], rows[3][-1]))  # the last part may go on
+                if cut:
+                    yield told([x[:cut] for x in rows])
+                held, size = [[x[cut:] for x in rows]], len(rows[3]) - cut
+        if size:
+            yield told([np.concatenate(x) for x in zip(*held)])
+
+    return dealt.select("code", "n", "c", "part").mapInArrow(tell, "code long, c long, log10 double")
 
 
 def score(docs: DataFrame, model: Model, keep: list[str], text: str = "text", head: int = HEAD) -> DataFrame:
     """``keep`` with n_tokens, n_known, base_score (unigram words) and score (the trie), for every row.
 
-    Counts of the ``head`` most frequent words are broadcast (a fixed bound); the other words of a
-    document meet their counts in a join, as (word, row) pairs that are added up within each row first.
+    Counts of the ``head`` most frequent words are broadcast (a fixed bound), as are the model's most
+    frequent grams; the other words and grams of a document meet theirs in joins, as pairs with the
+    row that are added up within each row first.
     """
-    made_here = ("n_tokens", "n_known", "base_score", "score", "head_known", "head_log", "tail", "__row", "k", "l")
+    made_here = ("n_tokens", "n_known", "base_score", "score", "head_known", "head_log", "head_score", "tail", "__grams", "__times", "__row", "k", "l", "__g")
     docs, keep = without_columns(docs, *made_here), [c for c in keep if c.lower() not in made_here]
     spark = docs.sparkSession
-    order = model.trie.order
+    order, split = model.order, model.order >= SPLIT
     common = model.words.orderBy(F.desc("n"), "code").limit(head).toArrow()
     code = common["code"].to_numpy().view(np.uint64)
     sort = np.argsort(code)
     table = Lookup(code[sort])
     counts = np.append(common["n"].to_numpy()[sort][table.order], 0)
     whole_head, ends_known = model.distinct <= head, model.ends
-    shared = spark.sparkContext.broadcast((model.trie, table, counts))
+    code, logs = model.head
+    sort = np.argsort(code)
+    frequent = Lookup(code[sort])
+    shared = spark.sparkContext.broadcast((None if split else model.base, frequent, np.append(logs[sort][frequent.order], 0.0), table, counts))
     extra = [c for c in keep if c != text]
-    schema = docs.select(*keep).schema.add("n_tokens", "long").add("head_known", "long").add("head_log", "double").add("score", "double").add("tail", ArrayType(LongType()))
+    schema = docs.select(*keep).schema.add("n_tokens", "long").add("head_known", "long").add("head_log", "double").add("head_score", "double")
+    for c in ("tail", "__grams", "__times"):
+        schema = schema.add(c, ArrayType(LongType()))
 
     def tell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        trie, words, times = shared.value
+        base, frequent, log10, words, times = shared.value
         for batch in batches:
             texts = batch.column(0)
             for lo, hi in tk.pieces(texts):
                 part = texts.slice(lo, hi - lo)
                 data, bounds = padded(part, order)
-                logs = np.concatenate([[0.0], np.cumsum(trie.log10(codes(data, bounds, order)))])
                 ends = bounds - np.arange(hi - lo + 1) * order
+                code = codes(data, bounds, order)
+                at = frequent.find(code)
+                log = np.where(at >= 0, log10[at], 0.0)
+                far = np.flatnonzero(at < 0)
+                if base:
+                    log[far] = base.log10(code[far])
+                    far = far[:0]
+                logs = np.concatenate([[0.0], np.cumsum(log)])
+                row, code = np.searchsorted(ends, far, "right") - 1, code[far]
+                by = np.lexsort((code, row))
+                row, code = row[by], code[by]
+                new = np.flatnonzero(np.append(True, (row[1:] != row[:-1]) | (code[1:] != code[:-1]))[: len(row)])
+                gram_at = pa.array(np.searchsorted(row[new], np.arange(hi - lo + 1)).astype(np.int32))
+                grams = pa.ListArray.from_arrays(gram_at, pa.array(code[new].view(np.int64)))
+                often = pa.ListArray.from_arrays(gram_at, pa.array(np.diff(np.append(new, len(row)))))
                 w = tk.Words(part, lower=True)
                 at = words.find(w.hash)
                 known = at >= 0
@@ -310,18 +382,24 @@ def score(docs: DataFrame, model: Model, keep: list[str], text: str = "text", he
                 cols = {c: batch.column(j + 1).slice(lo, hi - lo) for j, c in enumerate(extra)} | {text: part}
                 yield pa.RecordBatch.from_arrays(
                     [*(cols[c] for c in keep), pa.array(np.diff(r) + 1), pa.array(ks[r[1:]] - ks[r[:-1]] + (ends_known > 0)),
-                     pa.array(logn[r[1:]] - logn[r[:-1]] + math.log10(ends_known + 1)), pa.array(logs[ends[1:]] - logs[ends[:-1]]), tail],
-                    [*keep, "n_tokens", "head_known", "head_log", "score", "tail"],
+                     pa.array(logn[r[1:]] - logn[r[:-1]] + math.log10(ends_known + 1)), pa.array(logs[ends[1:]] - logs[ends[:-1]]), tail, grams, often],
+                    [*keep, "n_tokens", "head_known", "head_log", "head_score", "tail", "__grams", "__times"],
                 )
 
     part = materialize(docs.select(text, *extra).mapInArrow(tell, schema).withColumn("__row", F.monotonically_increasing_id()), "ppm-scores")
     rare = part.select("__row", F.explode("tail").alias("code")).join(model.words, "code")
-    found = rare.groupBy("__row").agg(F.count("*").alias("k"), F.sum(F.log10(F.col("n") + 1)).alias("l"))
+    found = rare.select("__row", F.lit(1).alias("k"), F.log10(F.col("n") + 1).alias("l"), F.lit(0.0).alias("__g"))
+    if split:
+        pairs = part.select("__row", F.explode(F.arrays_zip("__grams", "__times")).alias("x")).select("__row", F.col("x.__grams").alias("code"), F.col("x.__times").alias("times"))
+        answers = materialize(answer(pairs.groupBy("code").agg(F.count("*").alias("c")), model), "ppm-answers")
+        met = join_apart(pairs, answers, heaviest(answers, "c"), ["code"])
+        found = found.unionByName(met.select("__row", F.lit(0).alias("k"), F.lit(0.0).alias("l"), (F.col("times") * F.col("log10")).alias("__g")))
+    found = found.groupBy("__row").agg(F.sum("k").alias("k"), F.sum("l").alias("l"), F.sum("__g").alias("__g"))
     denominator = math.log10(model.tokens + 1 * (model.distinct + 1))
-    return part.drop("tail").join(found, "__row", "left").select(
+    return part.drop("tail", "__grams", "__times").join(found, "__row", "left").select(
         *keep,
         "n_tokens",
         (F.col("head_known") + F.coalesce("k", F.lit(0))).alias("n_known"),
         (F.col("head_log") + F.coalesce("l", F.lit(0.0)) - F.col("n_tokens") * denominator).alias("base_score"),
-        "score",
+        (F.col("head_score") + F.coalesce("__g", F.lit(0.0))).alias("score"),
     )

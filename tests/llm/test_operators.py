@@ -406,6 +406,17 @@ def test_scores_equal_brute_force(spark, head):
         assert got[i]["score"] == pytest.approx(ppm_brute(learn, t, order), rel=1e-5)
 
 
+@pytest.mark.parametrize("order, nodes", [(1, 4), (3, 0), (5, 8)])
+def test_scores_do_not_depend_on_the_broadcast_grams(spark, monkeypatch, order, nodes):
+    monkeypatch.setattr(ppm, "CHUNK", 16, raising=False)
+    learn = ["the cat sat on the mat"] * 9 + ["The Cat", "", None, "ein Häuschen am Fluß", "中文 text 中文", "zzzzzzzz"]
+    test = ["the cat", "THE dog sat", "", None, "ein Fluß", "中文中文", "q" * 400, "zz 🙂"]
+    model = ppm.train(spark.createDataFrame([(t,) for t in learn], "text string"), order=order, nodes=nodes)
+    df = clashing(spark.createDataFrame(list(enumerate(test)), "i int, text string"), "score", "head_score")
+    got = {r["i"]: r["score"] for r in ppm.score(df, model, ["i"]).collect()}
+    assert got == {i: pytest.approx(ppm_brute(learn, t, order), rel=1e-5) for i, t in enumerate(test)}
+
+
 def test_nothing_learned_is_uniform(spark):
     empty = spark.createDataFrame([], "text string")
     model = ppm.train(empty)
