@@ -1,10 +1,10 @@
-"""N-gram Jaccard join with a MinHash LSH forest and exact verification.
+"""N-gram Jaccard join with MinHash bands and exact verification.
 
 A text's shingles are its distinct runs of ``n`` words (a text of fewer words has one, of all its
 words). Texts with equal shingle sets are copies: one node with a number of copies. Each node puts
-a label of up to ``DEPTH`` MinHash values into each of ``TREES`` tries. Tries match a prefix; it is
-shortened from ``DEPTH`` until a pair at the threshold shares some trie's prefix with the target recall
-(1 - (1 - t^d)^TREES). Nodes under one prefix join their least node, so a bucket of m nodes is m - 1
+a label of d MinHash values into each of ``TREES`` bands. d is fixed before any row is read: the largest
+up to ``DEPTH`` at which a pair at the threshold shares some label with the target recall
+(1 - (1 - t^d)^TREES). Nodes under one label join their least node, so a bucket of m nodes is m - 1
 links, never all pairs; the connected cells of those links hold all candidates.
 
 Inside a cell every pair is verified exactly: nodes fall into narrow classes of set size, and classes, in order of size, into
