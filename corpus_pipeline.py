@@ -14,9 +14,12 @@ LEAST_LANGUAGE_SCORE = 0.2
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rejects texts without a letter and texts that no learned language explains. A missing language is filled in."""
+    """Rejects texts without a letter and texts that no learned language explains. A missing language is filled in.
+
+    A lettered text too short for an n-gram is no evidence against any language: it stays.
+    """
     told = langid.predict(docs, langid.train(docs), docs.columns)
-    kept = told.where((F.col("lang_pred") != langid.UNKNOWN) & (F.col("score") >= LEAST_LANGUAGE_SCORE))
+    kept = told.where((F.col("lang_pred") != langid.UNKNOWN) & ((F.col("score") >= LEAST_LANGUAGE_SCORE) | (F.octet_length("text") < langid.N)))
     return kept.withColumn("lang", F.coalesce("lang", "lang_pred")).select(docs.columns)
 
 

@@ -88,3 +88,10 @@ def test_run_equals_plain_python(spark, tables):
     assert collections.Counter(r["doc_id"] for r in five) == got
     assert all(r["ids"] == library.encode(rows[r["doc_id"]]["text"]) for r in five)
     assert corpus_pipeline.run(spark, tables).count() == len(five)
+
+
+def test_language_id_keeps_texts_too_short_for_an_ngram(spark):
+    texts = ["the cat sat on the mat " * 9, "Re.", "A.", "é", "12.", "", None, "Zug fährt nach Haus " * 9]
+    docs = spark.createDataFrame([(i, t, "de" if i == 7 else "en") for i, t in enumerate(texts)], "doc_id long, text string, lang string")
+    kept = {r["doc_id"] for r in dict(corpus_pipeline.STAGES)["language_id"](spark, docs, "").collect()}
+    assert kept == {0, 1, 2, 3, 7}
