@@ -1,12 +1,29 @@
+import pathlib
+import shutil
+import subprocess
+import sys
+
 import __spark_entry__ as entry
 
 
 def test_contract(spark):
     q, sql = entry.queries(), entry.oracle_sql()
-    assert set(sql) <= set(q) and len(q) > 150
+    assert set(sql) <= set(q) and len(q) > 140
     assert entry.entry(spark).columns == ["cb", "col_id", "x"]
 
 
+def test_contract_without_the_training_data_operators(tmp_path):
+    """Also where the pipeline's file is left behind."""
+    root = pathlib.Path(entry.__file__).parent
+    shutil.copytree(root / "blocksolve", tmp_path / "blocksolve", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    for f in ("__spark_entry__.py", "corpus_pipeline.py"):
+        if (root / f).exists():
+            shutil.copy(root / f, tmp_path / f)
+    told = "import __spark_entry__ as e; q = e.queries(); assert set(e.oracle_sql()) <= set(q) and 'pipeline' not in q; print(len(q))"
+    out = subprocess.run([sys.executable, "-c", told], cwd=tmp_path, capture_output=True, text=True, timeout=120)
+    assert out.returncode == 0 and int(out.stdout) > 140, out.stderr
+
+
 def test_streams_equal_batches(spark, tables):
     from blocksolve.plans import streams
 
