@@ -39,7 +39,7 @@ from blocksolve.llm.common import heaviest, join_apart, materialize, shuffle_par
 from blocksolve.llm.langid import merged
 
 ORDER = 5
-NODES = 1 << 20
+NODES = 1 << 18
 HEAD = 1 << 18
 SPLIT = 3
 CHUNK = 1 << 18  # rows of whole parts that become one trie
