@@ -36,6 +36,14 @@ def pack(entries: DataFrame) -> DataFrame:
     return e.mapInArrow(made, "cb int, rb int, rows array<bigint>, cols array<bigint>, at array<int>, idx array<int>, val array<double>")
 
 
+def unpack(blocks: DataFrame) -> DataFrame:
+    """Entries again, whichever form they have."""
+    if "at" not in blocks.columns:
+        return blocks
+    each = blocks.select("cb", "rb", "rows", "cols", F.explode(F.arrays_zip("at", "idx", "val")).alias("e"))
+    return each.select("cb", "rb", F.get("rows", F.col("e.at")).alias("row_id"), F.get("cols", F.col("e.idx")).alias("col_id"), F.col("e.val").alias("val"))
+
+
 def slices(v: DataFrame, key: str, index: str, value: str) -> DataFrame:
     """key, ids, values: a block's slice of a vector in the order of its index."""
     return v.groupBy(key).agg(F.sort_array(F.collect_list(F.struct(index, value))).alias("s")).select(key, F.col(f"s.{index}").alias(f"{key}_ids"), F.col(f"s.{value}").alias(f"{key}_values"))

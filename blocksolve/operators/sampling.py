@@ -33,15 +33,21 @@ def weights(density: DataFrame, rows: DataFrame, spec: SolveSpec, epoch: int) ->
     return d.withColumn("w", F.col("p"))
 
 
+def taken(spec: SolveSpec, m: int) -> int:
+    """How many of m row blocks an epoch draws for a column block."""
+    take = math.ceil(spec.row_fraction * m - 1e-9)
+    if spec.last_group == "full":
+        take = min(m, math.ceil(take / spec.group_size) * spec.group_size)
+    return take
+
+
 def draw_row_blocks(density: DataFrame, rows: DataFrame, m: int, spec: SolveSpec, epoch: int, cols: list[int] | None = None) -> DataFrame:
     """epoch, cb, rb, view, pick_rank, grp, p_s, p_t: per column block, ceil(row_fraction * m) row blocks without replacement.
 
     The keys -ln(u)/w of a weighted draw (Efraimidis and Spirakis 2006): the smallest win, which is the
     same law as drawing one at a time with renewed shares. Groups are runs of ``group_size`` picks.
     """
-    take = math.ceil(spec.row_fraction * m - 1e-9)
-    if spec.last_group == "full":
-        take = min(m, math.ceil(take / spec.group_size) * spec.group_size)
+    take = taken(spec, m)
     d = weights(density, rows, spec, epoch)
     if cols is not None:
         d = d.where(F.col("cb").isin(cols))
@@ -52,10 +58,11 @@ def draw_row_blocks(density: DataFrame, rows: DataFrame, m: int, spec: SolveSpec
 
 
 def relaxation(picks: DataFrame, spec: SolveSpec, damping: float = 1.0, base: float | None = None) -> DataFrame:
-    """cb, grp, beta: the base, or the base times the group's share of the column block's area (unblended)."""
+    """cb, grp, beta: the base, or the base times the group's share of the column block's area (unblended); adaptive: the
+    latter, with a base that follows the gap."""
     b = spec.step_base if base is None else base
     area = F.sum("p_s") / F.max("p_t")
-    beta = F.lit(b * damping) if spec.step_policy != "area" else F.lit(b * damping) * area
+    beta = F.lit(b * damping) if spec.step_policy == "const" else F.lit(b * damping) * area
     return picks.groupBy("cb", "grp").agg(beta.alias("beta"))
 
 

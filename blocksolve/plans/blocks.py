@@ -179,7 +179,7 @@ def _picks(spark, d, **how) -> DataFrame:
 for _tag, _how, _weight, _take, _group in (
     ("uniform", {"sampler": "uniform"}, "1.0", 10, 1),
     ("density", {"sampler": "density"}, "p", 10, 1),
-    ("blend", {"sampler": "blend"}, "(p_s + 0.075 * (max(p_s) OVER (PARTITION BY cb, view) - p_s)) / p_t", 10, 1),
+    ("blend", {"sampler": "blend"}, "(p_s + 0.05 * (max(p_s) OVER (PARTITION BY cb, view) - p_s)) / p_t", 10, 1),
     ("floor", {"sampler": "floor", "floor": 0.05}, "greatest(p, 0.05)", 10, 1),
     ("groups_short", {"group_size": 4}, "p", 10, 4),
     ("groups_full", {"group_size": 4, "last_group": "full"}, "p", 12, 4),
@@ -324,7 +324,20 @@ _epochs("sampled_epoch", SolveSpec(epochs=2, row_fraction=0.5), [(_draws(e, 2, c
 _epochs("uniform_epoch", SolveSpec(epochs=2, row_fraction=0.5, sampler="uniform"), [(_draws(e, 2, c, weight="1.0"), 1.0) for e in (1, 2) for c in (0, 1)])
 _epochs("grouped_epoch", SolveSpec(row_fraction=1.0, group_size=2), [(_draws(1, 4, c, 2), 1.0) for c in (0, 1)])
 _epochs("area_steps", SolveSpec(row_fraction=0.5, step_policy="area", step_base=4.0), [(_draws(1, 2, c), 4.0) for c in (0, 1)], beta="{base} * sum(p_s) / max(p_t)")
-_epochs("blend_epoch", SolveSpec(row_fraction=0.5, sampler="blend"), [(_draws(1, 2, c, weight="p"), 1.0) for c in (0, 1)])
+
+
+def _blended_draws(epoch: int, cb: int) -> str:
+    """All row blocks are one view here; the blend has moved by 0.4 an epoch, from 0 in the first."""
+    return sql.picks(epoch, 2, "w", where=f"cb = {cb}").replace("FROM density", f"FROM (SELECT *, (p_s + {0.4 * (epoch - 1)!r} * (max(p_s) OVER (PARTITION BY cb) - p_s)) / p_t AS w FROM density)")
+
+
+@query("abd_blend_epoch", sql.epochs([(_blended_draws(e, c), 1.0) for e in (1, 2, 3) for c in (0, 1)], _TAKE_X.format(6)))
+def _(spark, d):
+    s = supplier(spark, d)
+    s = replace(s, rows=s.rows.withColumn("view", F.lit(0)))
+    return rounded(solver.epochs_lazily(s, SolveSpec(epochs=3, row_fraction=0.5, sampler="blend", theta_step=0.4), 4, [0, 1]).x, "x", digits=3)
+
+
 _epochs("true_residual", SolveSpec(residual="true", refresh="epoch", epochs=2), _ONE * 2, residual="true")
 _epochs("ridge_epoch", SolveSpec(ridge=50.0), _COLUMN, ridge=50.0)
 _gamma = [sampling.draw_col_blocks([0, 1], SolveSpec(col_fraction=0.5), e)[0] for e in (1, 2)]

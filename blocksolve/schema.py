@@ -15,7 +15,7 @@ COLS = "col_id bigint, cb int, x_true double"
 DENSITY = "cb int, rb int, view int, p_s double, p_t double, p double"
 PICKS = "epoch int, cb int, rb int, pick_rank int, grp int"
 Z = "cb int, rb int, row_id bigint, z double"
-PACKED = "cb int, rb int, rows array<bigint>, cols array<bigint>, indptr array<int>, idx array<int>, val array<double>"
+PACKED = "cb int, rb int, rows array<bigint>, cols array<bigint>, at array<int>, idx array<int>, val array<double>"
 
 
 @dataclass(frozen=True)
@@ -37,7 +37,7 @@ class LinearSystem:
 
 @dataclass(frozen=True)
 class SolveSpec:
-    """How to solve. ``refresh``: "column", "epoch" or how many column blocks share one residual. ``step_policy``: "area", "const" or "adaptive"."""
+    """How to solve. ``refresh``: "column", "epoch" or how many column blocks share one residual. ``step_policy``: "area", "const" or "adaptive" (area, with a base that grows by 5 % after an epoch that raised the gap and halves after one that did not)."""
 
     epochs: int = 1
     row_fraction: float = 1.0
@@ -74,7 +74,8 @@ class SolveSpec:
             raise ValueError("residual: surrogate or true; last_group: short or full; strategy: relational or packed")
 
     def theta(self, epoch: int) -> float:
-        return min(1.0, epoch * self.theta_step)
+        """0 in the first epoch, then ``theta_step`` more with each."""
+        return min(1.0, (epoch - 1) * self.theta_step)
 
 
 def validate(system: LinearSystem) -> None:

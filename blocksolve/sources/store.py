@@ -35,6 +35,42 @@ def forget(df: DataFrame) -> None:
         p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+class Parts:
+    """A state kept by column block: a round rewrites the blocks that it changed, and reading is one scan over the current ones."""
+
+    def __init__(self, spark: SparkSession, name: str, ddl: str):
+        self.spark, self.ddl = spark, ddl
+        self.root = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+        self.at: dict[int, str] = {}
+        self.version = 0
+
+    def _fs(self, path: str):
+        p = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+        return p.getFileSystem(self.spark._jsc.hadoopConfiguration()), p
+
+    def read(self, blocks: list[int] | None = None) -> DataFrame:
+        """The given blocks' rows, or all."""
+        paths = [p for cb, p in sorted(self.at.items()) if blocks is None or cb in blocks]
+        return self.spark.read.schema(self.ddl).parquet(*paths) if paths else self.spark.createDataFrame([], self.ddl)
+
+    def write(self, rows: DataFrame, blocks: list[int]) -> list[str]:
+        """Replace the given blocks; gives the folders that are no longer current (the caller drops them when nothing reads them)."""
+        self.version += 1
+        to = f"{self.root}/v{self.version}"
+        rows.withColumn("part", F.col("cb")).write.partitionBy("part").parquet(to)
+        old = [self.at.pop(cb) for cb in blocks if cb in self.at]
+        for cb in blocks:
+            fs, p = self._fs(f"{to}/part={cb}")
+            if fs.exists(p):
+                self.at[cb] = f"{to}/part={cb}"
+        return old
+
+    def drop(self, folders: list[str]) -> None:
+        for folder in folders:
+            fs, p = self._fs(folder)
+            fs.delete(p, True)
+
+
 def write_blocks(entries: DataFrame, path: str, files: int) -> None:
     """One folder a column block, sorted by row block inside, so that picks prune folders and skip row groups."""
     entries.repartitionByRange(files, "cb", "rb").sortWithinPartitions("cb", "rb", "row_id").write.mode("overwrite").partitionBy("cb").parquet(path)
