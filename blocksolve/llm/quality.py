@@ -1,16 +1,20 @@
 """Quality rules with risk-controlled thresholds. Only DataFrame functions.
 
-Each rule rejects a document whose measure exceeds a cutoff. Per stratum and rule, cutoffs are
-tested from the loosest to the strictest on labelled good documents: a cutoff is certified if the
-exact binomial probability of seeing at most the observed number of false rejections, were the
-true rate ``alpha``, is at most ``delta`` over the number of (stratum, rule) pairs. Testing stops
-at the first failure (fixed-sequence testing, so the grid costs nothing more) and the division by
-the number of pairs corrects for the families. With probability 1 - delta, every chosen cutoff
-then rejects at most a share ``alpha`` of its stratum's good documents. A pair without a certified
-cutoff has its rule off.
+Each rule rejects a document whose measure exceeds a cutoff. All rules start off and come down a ladder that is fixed before any
+label is read: step 3 i + j lowers rule j to the i-th cutoff of the grid (the grid descends). A step is one hypothesis about all rules
+together: "they reject more than ``alpha`` of the good documents that the base rule passes". It is refuted, so the step is certified, if a
+binomial with rate ``alpha`` would show no more false rejections than the labelled good documents do with probability
+``delta`` / strata at most (the exact tail). Steps are tested in order up to the first that fails (fixed-sequence testing, so the length of the ladder costs
+nothing), and the division by the number of strata corrects for the families. With probability 1 - ``delta``, in all strata at once, the rules together
+reject at most a share ``alpha`` of the good documents that pass the base rule. The base rule itself is given, not chosen, and stands outside this bound.
+
+Nothing but the step is chosen on labels: neither the measures nor the ladder are fitted, so every labelled document serves as holdout.
+A stratum is a source that has labelled good documents enough to certify a step at all (without a false rejection); the sources with fewer
+form one stratum together. That choice looks at their numbers only, never at measures. Sources without any labelled good
+document, and strata in which no step is certified, have their rules off.
 
 Words are ``[^\\x20\\x09-\\x0D]+``. Defined results: a null text has no words and fails the base
-rule; a null stratum is a stratum of its own; labels are reduced to one row per doc_id by their
+rule; a null source is a source of its own; labels are reduced to one row per doc_id by their
 largest value, null labels are no labels; repeated documents count each.
 """
 
@@ -61,23 +65,40 @@ def shares(m: DataFrame) -> DataFrame:
     })
 
 
+def base_failed():
+    return (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
+
+
+def strata_of(held: DataFrame, alpha: float, delta: float) -> DataFrame:
+    """stratum, pooled: each source with labelled good documents, and whether it has too few for itself."""
+    per = held.groupBy("stratum").agg(F.count("*").alias("n"))
+    least = per.agg((F.log(F.lit(delta) / (F.count("*") + 1)) / F.log(F.lit(1 - alpha))).alias("least"))
+    return per.crossJoin(F.broadcast(least)).select("stratum", (F.col("n") < F.col("least")).alias("pooled"))
+
+
 def thresholds(measured: DataFrame, labels: DataFrame, alpha: float = 0.02, delta: float = 0.05, grid: tuple[float, ...] = GRID, rules: tuple[str, ...] = RULES) -> DataFrame:
-    """stratum, rule, cutoff: a row per pair with a certified cutoff."""
+    """stratum, pooled, n, strata, step, rejected and cut_<rule> (null: off) of every source with labelled good documents."""
     good = labels.groupBy("doc_id").agg(F.max("quality").alias("q")).where("q = 1 AND doc_id IS NOT NULL").select("doc_id")
-    held = measured.join(good, "doc_id", "left_semi")
-    steps = F.array(*[F.lit(float(c)) for c in sorted(grid, reverse=True)])
-    each = held.select("stratum", F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), F.col(r).alias("x")) for r in rules])).alias("e")).select(
-        "stratum", "e.rule", F.size(F.filter(steps, lambda c: c >= F.col("e.x"))).alias("passes")
-    )  # it passes the first so many (looser) cutoffs
-    n = each.groupBy("stratum", "rule", "passes").agg(F.count("*").alias("n"))
-    ladder = n.groupBy("stratum", "rule").agg(F.sum("n").alias("n"), F.map_from_entries(F.collect_list(F.struct("passes", "n"))).alias("by"))
-    ladder = ladder.withColumn("pairs", F.count("*").over(Window.partitionBy(F.lit(0))))  # strata x rules rows
-    tested = ladder.select("stratum", "rule", "n", "by", "pairs", F.posexplode(steps).alias("step", "cutoff")).withColumn(
-        "k", F.expr("aggregate(map_entries(by), 0L, (a, e) -> a + IF(e.key <= step, e.value, 0L))")
-    )
-    tested = tested.withColumn("log_tail", log_binomial_cdf("k", "n", alpha)).withColumn("sure", F.col("log_tail") <= F.log(F.lit(delta) / F.col("pairs")))
-    run = Window.partitionBy("stratum", "rule").orderBy("step").rowsBetween(Window.unboundedPreceding, 0)
-    return tested.withColumn("all_sure", F.min("sure").over(run)).where("all_sure").groupBy("stratum", "rule").agg(F.min("cutoff").alias("cutoff"))
+    held = measured.join(good, "doc_id", "left_semi").where(~base_failed())
+    ladder, wide = F.array(*[F.lit(float(c)) for c in sorted(grid, reverse=True)]), len(rules)
+    # the step from which on some rule rejects the document; beyond the last step: none ever does
+    passes = lambda r: F.size(F.filter(ladder, lambda c: c >= F.col(r)))
+    fails = F.least(*[F.when(passes(r) < len(grid), passes(r) * wide + j).otherwise(len(grid) * wide) for j, r in enumerate(rules)])
+    counted = held.select("stratum", fails.alias("fails")).groupBy("stratum", "fails").agg(F.count("*").alias("c"))
+    place = materialize(strata_of(held, alpha, delta), "strata")  # a row a source
+    own = F.when(~F.col("pooled"), F.col("stratum"))
+    told = counted.join(place.withColumnRenamed("stratum", "s"), F.col("stratum").eqNullSafe(F.col("s"))).groupBy(own.alias("family"), "pooled", "fails").agg(F.sum("c").alias("c"))
+    families = told.groupBy("family", "pooled").agg(F.sum("c").alias("n"), F.map_from_entries(F.collect_list(F.struct("fails", "c"))).alias("by"))
+    strata = families.agg(F.count("*").alias("strata"))
+    steps = families.crossJoin(F.broadcast(strata)).select("*", F.explode(F.sequence(F.lit(0), F.lit(len(grid) * wide - 1))).alias("step"))
+    tested = steps.withColumn("k", F.expr("aggregate(map_entries(by), 0L, (a, e) -> a + IF(e.key <= step, e.value, 0L))"))
+    tested = tested.withColumn("sure", log_binomial_cdf("k", "n", alpha) <= F.log(F.lit(delta) / F.col("strata")))
+    run = Window.partitionBy("family", "pooled").orderBy("step").rowsBetween(Window.unboundedPreceding, 0)
+    best = tested.withColumn("all_sure", F.min("sure").over(run)).where("all_sure").groupBy("family", "pooled").agg(F.max_by(F.struct("n", "strata", "step", F.col("k").alias("rejected")), "step").alias("b"))
+    lowered = lambda j: F.floor((F.col("b.step") - j) / wide).cast("int")
+    cuts = [F.when(lowered(j) >= 0, F.get(ladder, lowered(j))).alias(f"cut_{r}") for j, r in enumerate(rules)]
+    best = best.select("family", F.col("pooled").alias("of_pool"), "b.*", *cuts)
+    return place.join(best, (F.col("pooled") == F.col("of_pool")) & own.eqNullSafe(F.col("family"))).drop("family", "of_pool")
 
 
 def log_binomial_cdf(k: str, n: str, p: float):
@@ -98,13 +119,11 @@ def judge(docs: DataFrame, labels: DataFrame, **risk) -> DataFrame:
     documents before any document can be judged.
     """
     measured = shares(materialize(measures(docs), "quality"))
-    cut = thresholds(measured, labels, **risk).groupBy(F.col("stratum").alias("cut_stratum")).pivot("rule", list(RULES)).agg(F.first("cutoff"))
-    cut = cut.select("cut_stratum", *[F.col(r).alias(f"cut_{r}") for r in RULES])
+    cut = thresholds(measured, labels, **risk).select(F.col("stratum").alias("cut_stratum"), *[f"cut_{r}" for r in RULES])
     joined = measured.join(cut, measured["stratum"].eqNullSafe(cut["cut_stratum"]), "left")
-    failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     hits = F.array_compact(F.array(*[F.when(F.col(r) > F.col(f"cut_{r}"), F.lit(r)) for r in RULES]))
     return joined.select(
-        "doc_id", "stratum", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), hits.alias("rejected_by")
+        "doc_id", "stratum", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", base_failed().alias("base_failed"), hits.alias("rejected_by")
     ).withColumn("kept", ~F.col("base_failed") & (F.size("rejected_by") == 0))
 
 
@@ -123,17 +142,21 @@ m AS (SELECT d.doc_id, d.source, len(w)::BIGINT AS n_words, length(array_to_stri
       FROM d LEFT JOIN ln USING (doc_id) LEFT JOIN covered USING (doc_id)),
 r AS (SELECT *, least(1.0, n_symbols / greatest(word_chars, 1)) AS a, least(1.0, n_dup_lines / greatest(n_lines, 1)) AS b,
              least(1.0, n_repeat_words / greatest(n_words, 1)) AS c FROM m),
-e AS (SELECT doc_id, source, 'a' AS rule, a AS x FROM r UNION ALL SELECT doc_id, source, 'b', b FROM r UNION ALL SELECT doc_id, source, 'c', c FROM r),
-g AS (SELECT unnest([""" + ", ".join(f"{c!r}::DOUBLE" for c in sorted(GRID, reverse=True)) + r"""]) AS cutoff),
-good AS (SELECT doc_id FROM labels GROUP BY doc_id HAVING max(quality) = 1),
-t AS (SELECT source, rule, cutoff, count(*) AS n, count(*) FILTER (WHERE x > cutoff) AS k FROM e SEMI JOIN good USING (doc_id), g GROUP BY ALL),
-s AS (SELECT *, (SELECT count(DISTINCT (source, rule)) FROM t) AS pairs,
-             CASE WHEN k > n * 0.02 THEN 1.0 ELSE (SELECT sum(exp(lgamma(t.n + 1) - lgamma(i + 1) - lgamma(t.n - i + 1) + i * ln(0.02) + (t.n - i) * ln(0.98))) FROM range(0, t.k + 1) q(i)) END AS tail FROM t),
-u AS (SELECT source, rule, cutoff, bool_and(tail <= 0.05 / pairs) OVER (PARTITION BY source, rule ORDER BY cutoff DESC) AS sure FROM s),
-cut AS (SELECT source, rule, min(cutoff) AS cutoff FROM u WHERE sure GROUP BY source, rule),
-bad AS (SELECT DISTINCT e.doc_id FROM e JOIN cut ON e.source IS NOT DISTINCT FROM cut.source AND e.rule = cut.rule AND e.x > cut.cutoff)
-SELECT m.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
-       (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AS base_failed,
-       NOT (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AND bad.doc_id IS NULL AS kept
-FROM m LEFT JOIN bad ON m.doc_id = bad.doc_id
+f AS (SELECT *, (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AS failed FROM r),
+g AS (SELECT row_number() OVER (ORDER BY c DESC) - 1 AS i, c FROM (SELECT unnest([""" + ", ".join(f"{c!r}::DOUBLE" for c in GRID) + r"""]) AS c)),
+ladder AS (SELECT i * 3 + j AS step, c, j FROM g, range(0, 3) q(j)),
+settings AS (SELECT s.step, min(l.c) FILTER (WHERE l.j = 0) AS ca, min(l.c) FILTER (WHERE l.j = 1) AS cb, min(l.c) FILTER (WHERE l.j = 2) AS cc
+             FROM ladder s JOIN ladder l ON l.step <= s.step GROUP BY s.step),
+held AS (SELECT source, a, b, c FROM f SEMI JOIN (SELECT doc_id FROM labels GROUP BY doc_id HAVING max(quality) = 1) USING (doc_id) WHERE NOT failed),
+sizes AS (SELECT source, count(*) AS n FROM held GROUP BY source),
+place AS (SELECT source, n < ln(0.05 / ((SELECT count(*) FROM sizes) + 1)) / ln(0.98) AS pooled FROM sizes),
+fam AS (SELECT pooled, CASE WHEN NOT pooled THEN held.source END AS family, a, b, c FROM held JOIN place ON held.source IS NOT DISTINCT FROM place.source),
+t AS (SELECT family, pooled, step, count(*) AS n, count(*) FILTER (WHERE a > ca OR coalesce(b > cb, false) OR coalesce(c > cc, false)) AS k FROM fam, settings GROUP BY ALL),
+u AS (SELECT *, CASE WHEN k > n * 0.02 THEN 1.0 ELSE (SELECT sum(exp(lgamma(t.n + 1) - lgamma(i + 1) - lgamma(t.n - i + 1) + i * ln(0.02) + (t.n - i) * ln(0.98))) FROM range(0, t.k + 1) q(i)) END
+             <= 0.05 / (SELECT count(DISTINCT (family, pooled)) FROM fam) AS sure FROM t),
+best AS (SELECT family, pooled, max(step) AS step FROM (SELECT *, bool_and(sure) OVER (PARTITION BY family, pooled ORDER BY step) AS all_sure FROM u) WHERE all_sure GROUP BY 1, 2),
+cut AS (SELECT source, ca, cb, cc FROM place JOIN best ON best.pooled = place.pooled AND best.family IS NOT DISTINCT FROM CASE WHEN NOT place.pooled THEN source END JOIN settings USING (step))
+SELECT f.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, failed AS base_failed,
+       NOT failed AND NOT coalesce(a > ca, false) AND NOT coalesce(b > cb, false) AND NOT coalesce(c > cc, false) AS kept
+FROM f LEFT JOIN cut ON f.source IS NOT DISTINCT FROM cut.source
 """
