@@ -1,11 +1,15 @@
-"""N-gram Jaccard join with MinHash bands and exact verification.
+"""N-gram Jaccard join with a MinHash LSH forest and exact verification.
 
 A text's shingles are its distinct runs of ``n`` words (a text of fewer words has one, of all its
-words). Texts with equal shingle sets are copies: one node with a number of copies. Each node puts
-a label of d MinHash values into each of ``TREES`` bands. d is fixed before any row is read: the largest
-up to ``DEPTH`` at which a pair at the threshold shares some label with the target recall
-(1 - (1 - t^d)^TREES). Nodes under one label join their least node, so a bucket of m nodes is m - 1
-links, never all pairs; the connected cells of those links hold all candidates.
+words). Texts with equal shingle sets are copies: one node with a number of copies. Each node puts a signature of as many MinHash
+values as ``WIDTHS`` has levels into each of ``TREES`` tries. A signature is one number, its first value in the leading bits, so a trie is the sorted order
+of its signatures, which Spark deals by ranges: no bucket, however large, has to lie in one task.
+
+A node first matches those that share its whole signature in some trie; then the matched prefix is shortened level by level, until a partner at
+the least similarity that a link of this node can have is met in some trie with the target recall (1 - (1 - s^d)^TREES). That s is the threshold for most nodes
+and more for small sets, as only few similarities can occur there (one of 6 shingles has links from 5/6 on; one of 3 has none and never
+matches). Where two nodes meet, both have come down to that depth. Nodes of a run of equal prefixes join its first
+node, so a run of m nodes is m - 1 links, never all pairs; the connected cells of those links hold all candidates.
 
 Inside a cell every pair is verified exactly: nodes fall into narrow classes of set size, and classes, in order of size, into
 blocks of about ``BLOCK`` nodes and ``LOAD`` shingles (a larger class is dealt by hash into several; a block holds the
@@ -31,22 +35,43 @@ from blocksolve.llm import textkernel as tk
 from blocksolve.llm.common import Bloom, components, drop_table, heaviest, join_apart, materialize, shuffle_partitions, without_columns
 from blocksolve.llm.substrings import keyed
 
-TREES, DEPTH, RECALL = 20, 8, 0.999
+TREES, RECALL = 20, 0.999
+WIDTHS = (10, 10, 10, 10, 10, 5, 5, 4)  # bits of the levels of a signature
+DEPTH = len(WIDTHS)
+SMALL = 256  # sizes of sets that are told apart in the choice of the depth
 BLOCK, LOAD = 256, 1 << 20
 CLASSES = 16  # of set size to a doubling
+SALT = 32  # parts of the pairs of blocks of a cell
 _RNG = np.random.Generator(np.random.PCG64(31))
 _XOR = _RNG.integers(0, 2**32, TREES * DEPTH, dtype=np.uint64).astype(np.uint32)
 _MUL = _RNG.integers(0, 2**32, TREES * DEPTH, dtype=np.uint64).astype(np.uint32) | np.uint32(1)
 
 
-def depth_for(threshold: float, recall: float = RECALL, trees: int = TREES, deepest: int = DEPTH) -> int:
+def depth_for(similarity: float, recall: float = RECALL, trees: int = TREES, deepest: int = DEPTH) -> int:
     """The longest prefix that still reaches the recall; 1 if none does."""
     d = deepest
-    while d > 1 and 1 - (1 - threshold**d) ** trees < recall:
+    while d > 1 and 1 - (1 - similarity**d) ** trees < recall:
         d -= 1
     return d
 
 
+def least_similarity(size: int, threshold: float) -> float:
+    """The least similarity from the threshold on that a set of ``size`` shingles can have with a different one; above 1 if there is none."""
+    found = 2.0
+    for other in range(int(size * threshold), int(size / threshold) + 2):
+        for common in range(max(0, int(threshold * max(size, other)) - 1), min(size, other) + 1):
+            union = size + other - common
+            if common < union and common >= threshold * union - 1e-6:
+                found = min(found, common / union)
+    return found
+
+
+def depths(threshold: float, recall: float) -> np.ndarray:
+    """The depth that a node of each size (the last: that size or more) comes down to; DEPTH + 1 where no link is possible."""
+    least = [least_similarity(size, threshold) for size in range(SMALL)] + [threshold]
+    return np.array([DEPTH + 1 if s > 1 else depth_for(s, recall) for s in least], np.int8)
+
+
 def shingles(column: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of the word n-grams of all rows (repeats included), and the bounds of the rows in them."""
     w = tk.Words(column)
@@ -66,20 +91,20 @@ def shingles(column: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
     return out, bounds
 
 
-def labels(hashes: np.ndarray, bounds: np.ndarray, depth: int) -> np.ndarray:
-    """Per row without gaps (every row has a shingle) the prefix names of its labels in all tries."""
+def signatures(hashes: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+    """Per row without gaps (every row has a shingle) its signatures in all tries."""
     h = (hashes >> np.uint64(32)).astype(np.uint32)
-    name = np.zeros((TREES, len(bounds) - 1), np.uint64)
+    out = np.zeros((TREES, len(bounds) - 1), np.uint64)
     for t in range(TREES):
-        for d in range(depth):
+        for d, width in enumerate(WIDTHS):
             i = t * DEPTH + d
             low = np.minimum.reduceat((h ^ _XOR[i]) * _MUL[i], bounds[:-1])
-            name[t] = tk.mix(name[t] + low + np.uint64((t << 40) + (d << 33)))
-    return name.T
+            out[t] = (out[t] << np.uint64(width)) | (tk.mix(low + np.uint64(i << 32)) >> np.uint64(64 - width))
+    return out.T
 
 
-def nodes_of(docs: DataFrame, n: int, depth: int) -> DataFrame:
-    """doc_id, _key1, _key2, node (null without words), size (distinct shingles), labels of each row of ``docs``."""
+def nodes_of(docs: DataFrame, n: int) -> DataFrame:
+    """doc_id, _key1, _key2, node (null without words), size (distinct shingles), sigs of each row of ``docs``."""
 
     def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -91,24 +116,55 @@ def nodes_of(docs: DataFrame, n: int, depth: int) -> DataFrame:
                     own = np.unique(h[at[r] : at[r + 1]])
                     size[r] = len(own)
                     node[r] = tk.mix(own).sum(dtype=np.uint64)
-                names = labels(h, at[np.append(some, hi - lo)] if len(some) else at[:1], depth) if len(some) else np.zeros((0, TREES), np.uint64)
+                sigs = signatures(h, at[np.append(some, hi - lo)]) if len(some) else np.zeros((0, TREES), np.uint64)
                 filled = np.zeros(hi - lo + 1, np.int32)
                 filled[1:][some] = TREES
                 yield pa.RecordBatch.from_arrays(
                     [*(batch.column(c).slice(lo, hi - lo) for c in (1, 2, 3)), pa.array(node.view(np.int64), mask=size == 0), pa.array(size),
-                     pa.ListArray.from_arrays(pa.array(np.cumsum(filled, dtype=np.int32)), pa.array(names.reshape(-1).view(np.int64)))],
-                    ["doc_id", "_key1", "_key2", "node", "size", "labels"],
+                     pa.ListArray.from_arrays(pa.array(np.cumsum(filled, dtype=np.int32)), pa.array(sigs.reshape(-1).view(np.int64)))],
+                    ["doc_id", "_key1", "_key2", "node", "size", "sigs"],
                 )
 
-    return docs.select("text", "doc_id", "_key1", "_key2").mapInArrow(made, "doc_id long, _key1 long, _key2 long, node long, size int, labels array<long>")
-
-
-def cells(nodes: DataFrame) -> DataFrame:
-    """node, cell: connected candidates, from the labels of ``nodes``."""
-    under = nodes.where("node IS NOT NULL").select("node", F.explode("labels").alias("label"))
-    shared = under.groupBy("label").agg(F.min("node").alias("hub"), F.max("node").alias("other")).where("hub < other").select("label", "hub")
-    links = under.join(shared, "label").where("node <> hub").select("node", "hub").distinct()
-    return components(links, "node", "hub", "cells").withColumnRenamed("label", "cell")
+    return docs.select("text", "doc_id", "_key1", "_key2").mapInArrow(made, "doc_id long, _key1 long, _key2 long, node long, size int, sigs array<long>")
+
+
+def _matches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (tree, sig, node, depth) in the order of the tries. Gives links (level 0: node, hub), and of each level the first and the last
+    run (tree, level, prefix, hub), which may go on in the rows before and after."""
+    for batch in batches:
+        tree, sig, node, depth = (batch.column(c).to_numpy(zero_copy_only=False) for c in range(4))
+        hub, out = node.copy(), []
+        for level in range(DEPTH, int(depth.min(initial=DEPTH + 1)) - 1, -1):
+            at = np.flatnonzero(depth <= level)
+            if not len(at):
+                continue
+            t, prefix = tree[at], sig[at] >> sum(WIDTHS[level:])
+            first = np.append(True, (t[1:] != t[:-1]) | (prefix[1:] != prefix[:-1]))
+            head = node[at][np.maximum.accumulate(np.where(first, np.arange(len(at)), 0))]
+            new = np.flatnonzero((head != hub[at]) & (head != node[at]))
+            hub[at] = head
+            zero = np.zeros(len(new), np.int8)
+            out.append((zero, zero, node[at][new], head[new]))
+            ends = np.array([0, -1])
+            out.append((t[ends], np.full(2, level, np.int8), prefix[ends], head[ends]))
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], ["tree", "level", "a", "hub"])
+
+
+def cells(nodes: DataFrame, threshold: float, recall: float) -> DataFrame:
+    """node, cell: connected candidates, from the signatures of ``nodes``."""
+    table = F.array(*[F.lit(int(d)) for d in depths(threshold, recall)])
+    one = nodes.where("node IS NOT NULL").groupBy("node").agg(F.first("size").alias("size"), F.first("sigs").alias("sigs"))
+    one = one.withColumn("depth", F.get(table, F.least("size", F.lit(SMALL))).cast("byte")).where(F.col("depth") <= DEPTH)
+    sorted_ = one.select("node", "depth", F.posexplode("sigs").alias("t", "sig")).select(F.col("t").cast("byte").alias("tree"), "sig", "node", "depth")
+    sorted_ = sorted_.repartitionByRange(shuffle_partitions(nodes.sparkSession), "tree", "sig", "node").sortWithinPartitions("tree", "sig", "node")
+    met = materialize(sorted_.mapInArrow(_matches, "tree byte, level byte, a long, hub long"), "matches")
+    # runs that go on in another batch: a few rows a batch
+    runs = met.where("level > 0")
+    across = runs.join(runs.groupBy("tree", "level", "a").agg(F.min("hub").alias("least")), ["tree", "level", "a"]).where("hub <> least").select(F.col("hub").alias("node"), F.col("least").alias("hub"))
+    links = met.where("level = 0").select(F.col("a").alias("node"), "hub").union(across).distinct()
+    found = components(links, "node", "hub", "cells").withColumnRenamed("label", "cell")
+    return found
 
 
 def _sets_of(n: int, wanted):
@@ -201,9 +257,9 @@ def _verify(threshold: float):
     return made
 
 
-def links_of(docs: DataFrame, nodes: DataFrame, n: int, threshold: float) -> DataFrame:
+def links_of(docs: DataFrame, nodes: DataFrame, n: int, threshold: float, recall: float = RECALL) -> DataFrame:
     """node, hub, links, linked: partial sums and local classes of all verified links between different texts."""
-    member = cells(nodes).join(
+    member = cells(nodes, threshold, recall).join(
         nodes.where("node IS NOT NULL").groupBy("node").agg(F.count("*").alias("copies"), F.first("size").alias("size"), F.min(F.struct("_key1", "_key2")).alias("at")), "node"
     )
     told = materialize(member.select("cell", "node", "copies", "size", F.floor(F.log2("size") * CLASSES).cast("int").alias("class"), "at._key1", "at._key2"), "sized")
@@ -218,8 +274,10 @@ def links_of(docs: DataFrame, nodes: DataFrame, n: int, threshold: float) -> Dat
     member = materialize(member, "members")
     drop_table(told)
     span = member.groupBy("cell", "block").agg(F.min("size").alias("lo"), F.max("size").alias("hi"), F.count("*").alias("members"))
-    left, right = span.select("cell", F.col("block").alias("i"), F.col("hi").alias("hi"), F.col("members").alias("m")), span.select("cell", F.col("block").alias("j"), "lo")
-    pairs = left.join(right, "cell").where((F.col("i") <= F.col("j")) & (F.col("hi") >= threshold * F.col("lo")) & ((F.col("i") < F.col("j")) | (F.col("m") > 1)))
+    # a row per 256 nodes or so; the pairs of a cell are made in SALT parts
+    left = span.select("cell", F.pmod("block", F.lit(SALT)).alias("salt"), F.col("block").alias("i"), "hi", F.col("members").alias("m"))
+    right = span.select("cell", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("salt"), F.col("block").alias("j"), "lo")
+    pairs = left.join(right, ["cell", "salt"]).where((F.col("i") <= F.col("j")) & (F.col("hi") >= threshold * F.col("lo")) & ((F.col("i") < F.col("j")) | (F.col("m") > 1)))
     pairs = pairs.select("cell", "i", "j")
     goes = pairs.select("cell", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
     # texts stay where they are: a filter of bounded size lets nearly only members' sets move on, and the join is exact
@@ -234,31 +292,30 @@ def links_of(docs: DataFrame, nodes: DataFrame, n: int, threshold: float) -> Dat
 def join(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 5, threshold: float = 0.8, recall: float = RECALL) -> DataFrame:
     """doc_id, _key2, class_id, copy_of, n_links for every row: links to copies and to similar texts, all counted."""
     known = keyed(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")), "doc_id", "text")
-    nodes = materialize(nodes_of(known, n, depth_for(threshold, recall)), "nodes")
-    found = materialize(links_of(known, nodes, n, threshold), "links")
+    nodes = materialize(nodes_of(known, n), "nodes")
+    found = materialize(links_of(known, nodes, n, threshold, recall), "links")
     label = components(found, "node", "hub", "classes")
     per = nodes.where("node IS NOT NULL").groupBy("node").agg(F.count("*").alias("copies"), F.min("doc_id").alias("copy_of"))
     linked = found.groupBy("node").agg(F.sum("linked").alias("linked"))
-    per = per.join(linked, "node", "left").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    first = per.groupBy("label").agg(F.min("copy_of").alias("class_id"))
-    told = materialize(per.join(first, "label").select("node", "class_id", "copy_of", (F.col("copies") - 1 + F.coalesce("linked", F.lit(0))).alias("n_links")), "told")
-    alone = F.col("class_id").isNull() & F.col("node").isNull()
-    return nodes.select("doc_id", "_key1", "_key2", "node").join(told, "node", "left").select(
-        "doc_id",
-        "_key2",
-        F.when(alone, F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"),
-        F.when(alone, F.col("doc_id")).otherwise(F.col("copy_of")).alias("copy_of"),
-        F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),
-    )
+    per = materialize(per.join(linked, "node", "left").join(label, "node", "left").withColumn("label", F.coalesce("label", "node")), "per-node")
+    # a class may hold a third of all nodes and a node a third of all rows: the rows of the heaviest stay where they are
+    first = materialize(per.groupBy("label").agg(F.min("copy_of").alias("class_id"), F.count("*").alias("c")), "classes-first")
+    told = join_apart(per, first, heaviest(first, "c"), ["label"])
+    told = materialize(told.select("node", "class_id", "copy_of", "copies", (F.col("copies") - 1 + F.coalesce("linked", F.lit(0))).alias("n_links")), "told")
+    rows = nodes.select("doc_id", "_key1", "_key2", "node")
+    placed = join_apart(rows.where("node IS NOT NULL"), told, heaviest(told, "copies"), ["node"])
+    alone = rows.where("node IS NULL").select("doc_id", "_key2", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("copy_of"), F.lit(0).cast("long").alias("n_links"))
+    return placed.select("doc_id", "_key2", "class_id", "copy_of", F.col("n_links").cast("long").alias("n_links")).unionByName(alone)
 
 
 def dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **how) -> DataFrame:
-    """The rows of ``docs`` with the first document of each class (least doc_id; of rows equal in it, one)."""
+    """The rows of ``docs`` with the first document of each class (least doc_id; of rows equal in it, one). Rows without words all stay."""
     docs = without_columns(docs, "_key1", "_key2")
     found = join(docs, doc_id, text, **how)
     away = found.where("class_id IS NOT NULL AND NOT (doc_id <=> class_id)").select(F.coalesce("doc_id", F.lit(-1)).alias("_key1"), "_key2").distinct()
-    kept = keyed(docs, doc_id, text).join(away, ["_key1", "_key2"], "left_anti")
-    return kept.dropDuplicates(["_key1", "_key2"]).select(docs.columns)
+    wordy = F.coalesce(F.col(text).rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    kept = keyed(docs.where(wordy), doc_id, text).join(away, ["_key1", "_key2"], "left_anti")
+    return kept.dropDuplicates(["_key1", "_key2"]).select(docs.columns).unionByName(docs.where(~wordy))
 
 
 #: all pairs that share a shingle, compared exactly; classes by following links

@@ -148,12 +148,45 @@ def test_dedup_keeps_one_of_each_class(spark, docs):
     assert 10 not in ids and 11 not in ids and {0, 1, 12, 13, 14, 18, 19} <= set(ids)
     assert neardup.dedup(docs.limit(0)).count() == 0
     assert neardup.join(docs.where("text IS NULL")).count() == 1
+    twice = docs.where("doc_id = 12 OR doc_id = 13").union(docs.where("doc_id = 12"))
+    assert neardup.dedup(twice).count() == 3  # rows without words are classes of their own
 
 
 def test_prefix_depth_follows_recall():
     assert neardup.depth_for(0.8) == 5
     assert neardup.depth_for(0.99) == neardup.DEPTH
     assert neardup.depth_for(0.3) == 1
+    d = neardup.depths(0.8, 0.999)
+    assert list(d[1:4]) == [neardup.DEPTH + 1] * 3 and d[6] == neardup.depth_for(5 / 6) and d[7] == neardup.depth_for(6 / 7) and d[-1] == d[100] == 5
+
+
+def test_signatures_are_sorted_tries():
+    """Values that agree in the first d levels share the leading bits of their signatures."""
+    rng = np.random.default_rng(1)
+    a = rng.integers(0, 2**63, 400, dtype=np.uint64)
+    b = np.concatenate([a[:380], rng.integers(0, 2**63, 20, dtype=np.uint64)])
+    s = neardup.signatures(np.concatenate([a, b, a]), np.array([0, 400, 800, 1200]))
+    assert (s[0] == s[2]).all() and (s[0] != s[1]).any()
+    first = neardup.WIDTHS[0]
+    assert ((s[0] >> np.uint64(64 - first)) == (s[1] >> np.uint64(64 - first))).sum() >= 12  # 0.905 of the tries agree in a level
+
+
+def test_forest_recall_at_the_threshold(spark):
+    """Pairs hardly above the threshold, and sets of few shingles, against brute force."""
+    rng = random.Random(11)
+    rows = []
+    for i in range(300):
+        w = said(rng, 104, 10**6).split()
+        other = w[: 104 - 11 + i % 3] + said(rng, 11 - i % 3, 10**6).split()  # 100 shingles, about 89 shared
+        rows += [(2 * i, " ".join(w)), (2 * i + 1, " ".join(other))]
+    for i in range(300):
+        w = [rng.choice("ab") for _ in range(rng.randrange(1, 14))]
+        rows.append((1000 + i, " ".join(w)))
+    got = {r["doc_id"]: r["n_links"] for r in neardup.join(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect()}
+    want = {i: n for i, _, n in jaccard_classes(rows)}
+    assert sum(want.values()) > 800
+    assert all(got[i] <= want[i] for i in want) and sum(got.values()) >= 0.998 * sum(want.values())
+    assert {i: n for i, n in got.items() if i >= 1000} == {i: n for i, n in want.items() if i >= 1000}
 
 
 # --- 4 ------------------------------------------------------------------------------------------
