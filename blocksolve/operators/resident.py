@@ -58,7 +58,11 @@ def hold(system: LinearSystem, density: DataFrame, most: int = MOST) -> Held:
         n = df.count()
         if n > most:
             raise ValueError(f"{n} {what}; at most {most} are held by one task")
-    numbers = lambda df, *names: [df.select(*names).toArrow()[c].to_numpy() for c in names]
+
+    def numbers(df: DataFrame, *names: str) -> list[np.ndarray]:
+        got = df.select(*names).toArrow()
+        return [got[c].to_numpy() for c in names]
+
     sort = lambda key, *more: (key[o := np.argsort(key, kind="stable")], *(m[o] for m in more))
     cols, cb_of, truth = sort(*numbers(system.cols, "col_id", "cb", "x_true"))
     rows, rb_of, y = sort(*numbers(system.y, "row_id", "rb", "y"))
