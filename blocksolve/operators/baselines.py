@@ -8,14 +8,16 @@ Methods that need one equation or one unknown at a time run inside one task and
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blocksolve.operators.step import true_residual
 from blocksolve.schema import LinearSystem
+from blocksolve.sources.store import commit
 
 
 def row_weights(entries: DataFrame, weight: str) -> DataFrame:
@@ -92,8 +94,15 @@ def col_action(system: LinearSystem, x: DataFrame, blocks: list[int], weight: st
 # --- one at a time, inside one task (small systems) ----------------------------------------------
 
 
-def _whole(system: LinearSystem, kernel) -> DataFrame:
-    """Runs ``kernel(entries, y, cols)`` in one task over the whole system."""
+MOST = 1 << 22  # entries of a system that one task holds
+
+
+def _whole(system: LinearSystem, kernel, most: int = MOST) -> DataFrame:
+    """Runs ``kernel(entries, y, cols)`` in one task over the whole system; ValueError beyond ``most`` entries, rows or columns."""
+    for what, df in (("entries", system.entries), ("rows", system.y), ("columns", system.cols)):
+        n = df.count()
+        if n > most:
+            raise ValueError(f"{n} {what}; one task holds at most {most}: use row_action or col_action over blocks")
     e = system.entries.select(F.lit(0).alias("kind"), "row_id", "col_id", "val")
     y = system.y.select(F.lit(1).alias("kind"), "row_id", F.lit(0).cast("bigint").alias("col_id"), F.col("y").alias("val"))
     c = system.cols.select(F.lit(2).alias("kind"), F.lit(0).cast("bigint").alias("row_id"), "col_id", F.lit(0.0).alias("val"))
@@ -189,11 +198,30 @@ def axial_blocks(cells: DataFrame, size: int) -> DataFrame:
     return cells.select("col_id", (F.floor(F.col("ix") / size) + 1000 * F.floor(F.col("iy") / size)).cast("int").alias("cb"))
 
 
+def recut(system: LinearSystem, blocks: DataFrame) -> LinearSystem:
+    """The same system with the column blocks of ``blocks`` (col_id, cb)."""
+    cols = system.cols.drop("cb").join(blocks, "col_id").select("col_id", "cb", "x_true")
+    return replace(system, entries=commit(system.entries.drop("cb").join(blocks, "col_id").select("cb", "rb", "row_id", "col_id", "val"), "entries"), cols=commit(cols, "cols"), density=None)
+
+
+def block_descent(system: LinearSystem, sweeps: int = 1, share: float | None = None) -> DataFrame:
+    """x after sweeps of exact line searches over one column block after the other. With ``share``, every second sweep visits only that share of
+    the blocks, those that the sweep before moved most. Use ``recut`` with ``tile_blocks`` or ``axial_blocks`` for tiles of slices or lines along the axis."""
+    x, before = commit(system.x_zero(), "x"), None
+    every = sorted(r["cb"] for r in system.cols.select("cb").distinct().collect())  # block ids, not columns
+    for sweep in range(sweeps):
+        visit = every
+        if share is not None and sweep % 2:
+            visit = sorted(r["cb"] for r in most_moved_blocks(before, x, share).collect())
+        before = x
+        for cb in visit:  # committed block by block: the plan of a block reads the last one's files
+            x = commit(col_action(system, x, [cb], "steepest"), "x")
+    return x
+
+
 def most_moved_blocks(before: DataFrame, after: DataFrame, share: float) -> DataFrame:
     """cb of the column blocks with the largest change, the given share of them."""
     moved = before.select("cb", "col_id", F.col("x").alias("a")).join(after.select("col_id", "x"), "col_id").groupBy("cb").agg(F.sum(F.abs(F.col("x") - F.col("a"))).alias("d"))
-    from pyspark.sql import Window
-
     return moved.withColumn("q", F.percent_rank().over(Window.orderBy(F.desc("d"), "cb"))).where(F.col("q") < share).select("cb")
 
 

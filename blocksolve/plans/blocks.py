@@ -46,7 +46,7 @@ def rounded(df: DataFrame, *columns: str, digits: int = 4) -> DataFrame:
 
 _SUM = "SELECT cb, rb, count(*) AS nnz, count(DISTINCT row_id) AS n_rows, count(DISTINCT col_id) AS n_cols, round(sum(val), 3) + 0.0 AS mass FROM ({}) GROUP BY 1, 2"
 _BRAND = "(substr(p_brand, 7, 2)::INT - 1)"
-_SLIDE = """SELECT (d // {per})::INT AS cb, (v * 1000 + s // {per})::INT AS rb, v * 1000000 + s AS row_id, d AS col_id, 1.0 AS val
+_SLIDE = """SELECT (d // {per})::INT AS cb, (v * 100000 + s // {per})::INT AS rb, v * 1099511627776 + s AS row_id, d AS col_id, 1.0 AS val
   FROM (SELECT w.v, w.w, s.s FROM (VALUES {widths}) w(v, w), range(0, {n}) s(s) WHERE s.s + w.w <= {n}) q
   JOIN (SELECT p - (SELECT min(p) FROM pts) AS d FROM pts) x ON d BETWEEN q.s AND q.s + q.w - 1"""
 _SYSTEM_SQL = {
@@ -57,7 +57,7 @@ _SYSTEM_SQL = {
     + _SLIDE.format(per=91, n="(SELECT max(p) - min(p) + 1 FROM pts)", widths="(0, 1), (1, 3), (2, 7), (3, 30)"),
     "hours": "WITH pts AS (SELECT DISTINCT (epoch(ts) - epoch(TIMESTAMP '2024-01-01'))::BIGINT // 3600 AS p FROM events) "
     + _SLIDE.format(per=24, n="(SELECT max(p) - min(p) + 1 FROM pts)", widths="(0, 1), (1, 3), (2, 6), (3, 24)"),
-    "userday": """SELECT kind::INT AS cb, (day(ts) % 6)::INT AS rb, user_id * 100 + day(ts) AS row_id, kind * 24 + hour(ts) AS col_id, sum(value) AS val
+    "userday": """SELECT kind::INT AS cb, (datediff('day', DATE '1970-01-01', ts::DATE) % 6)::INT AS rb, user_id * 100000 + datediff('day', DATE '1970-01-01', ts::DATE) AS row_id, kind * 24 + hour(ts) AS col_id, sum(value) AS val
       FROM events JOIN (SELECT event_type, dense_rank() OVER (ORDER BY event_type) - 1 AS kind FROM (SELECT DISTINCT event_type FROM events)) USING (event_type)
       WHERE json_extract(props, '$.k') IS NOT NULL GROUP BY ALL HAVING sum(value) <> 0""",
     "terms": "WITH " + sql.TERMS + " SELECT * FROM entries",
@@ -434,6 +434,35 @@ def _(spark, d):
     return QUERIES["abd_true_residual"](spark, d)
 
 
+def volume(spark: SparkSession) -> tuple[LinearSystem, DataFrame]:
+    """A small scan of a cube, and its cells."""
+    from blocksolve.functions import geometry
+
+    s = systems.assemble(systems.cone3d(spark, None, 4, 8, 8, 2.0, 12.0, 24.0))
+    return replace(s, entries=commit(s.entries, "entries"), y=commit(s.y, "y")), geometry.cells(spark, (4, 4, 4), (2, 2, 2))
+
+
+@query("base_slice_tiles")
+def _(spark, d):
+    """Column blocks of square tiles, slice by slice."""
+    s, cells = volume(spark)
+    return base.block_descent(base.recut(s, base.tile_blocks(cells, 4)))
+
+
+@query("base_axial_lines")
+def _(spark, d):
+    """Column blocks of lines along the axis."""
+    s, cells = volume(spark)
+    return base.block_descent(base.recut(s, base.axial_blocks(cells, 2)))
+
+
+@query("base_axial_topchange")
+def _(spark, d):
+    """Lines along the axis; the second sweep visits the half that the first moved most."""
+    s, cells = volume(spark)
+    return base.block_descent(base.recut(s, base.axial_blocks(cells, 2)), 2, 0.5)
+
+
 @query("base_icd_cycle")
 def _(spark, d):
     return base.coordinate_descent(supplier(spark, d), 2)

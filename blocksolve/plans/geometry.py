@@ -101,10 +101,13 @@ def _(spark, d):
     return rounded(geo.shadow_2d(spark, V, D, R, 1.0, 2, (N, N), (2, 2)), "p_s", digits=6)
 
 
-@query("geo_shadow_imbalance")
+@query(
+    "geo_shadow_imbalance",
+    f"""SELECT cb, view, min(p_s) AS least, max(p_s) AS most, CASE WHEN max(p_s) > 0 THEN round(min(p_s) / max(p_s), 6) + 0.0 END AS ratio FROM ({SQL["geo_shadow_2d"]}) GROUP BY 1, 2""",
+)
 def _(spark, d):
     """How unevenly the two sub-areas of a view see each block."""
-    return dens.imbalance(dens.with_shares(geo.shadow_2d(spark, V, D, R, 1.0, 2, (N, N), (2, 2))))
+    return rounded(dens.imbalance(dens.with_shares(rounded(geo.shadow_2d(spark, V, D, R, 1.0, 2, (N, N), (2, 2)), "p_s", digits=6))), "ratio", digits=6)
 
 
 @query("geo_shadow_3d")

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 
+import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -12,7 +13,7 @@ from blocksolve.operators import relational as rel
 from blocksolve.operators.packed import pack
 from blocksolve.plans import sql
 from blocksolve.plans.blocks import rounded, supplier
-from blocksolve.sources import generated, store
+from blocksolve.sources import generated, store, systems
 from blocksolve.sources.tables import table
 
 QUERIES: dict = {}
@@ -246,3 +247,54 @@ def _(spark, d):
     s = supplier(spark, d)
     s.cols.createOrReplaceTempView("block_columns")
     return spark.sql("SELECT cb, count(*) AS n FROM block_columns GROUP BY cb")
+
+
+@query("grouped_udf", "WITH " + sql.SUPPLIER + " SELECT cb, rb, round(sum(val * val), 2) + 0.0 AS mass FROM entries GROUP BY 1, 2")
+def _(spark, d):
+    """A block's squared mass by an aggregate function over Arrow batches, as a user's own measure would come."""
+
+    @F.pandas_udf("double")
+    def mass(val: pd.Series) -> float:
+        return float((val * val).sum())
+
+    return rounded(supplier(spark, d).entries.groupBy("cb", "rb").agg(mass("val").alias("mass")), "mass", digits=2)
+
+
+@F.udtf(returnType="part int, first bigint, last bigint")
+class Runs:
+    """Cuts 0..n-1 into equal runs."""
+
+    def eval(self, n: int, parts: int):
+        for k in range(parts):
+            first, last = -(-k * n // parts), -(-(k + 1) * n // parts) - 1
+            if first <= last:
+                yield k, first, last
+
+
+@query("table_function", "SELECT r_regionkey, k::INT AS part, (k * 25 + 3) // 4 AS first, ((k + 1) * 25 + 3) // 4 - 1 AS last FROM region, range(0, 4) q(k)")
+def _(spark, d):
+    spark.udtf.register("runs_of", Runs)
+    table(spark, d, "region").createOrReplaceTempView("run_regions")
+    return spark.sql("SELECT r_regionkey, t.* FROM run_regions, LATERAL runs_of(25, 4) t")
+
+
+@query("sql_functions", "SELECT (s_suppkey % 3)::INT AS cb, count(*) AS n FROM supplier GROUP BY 1")
+def _(spark, d):
+    """Block numbers as a function of SQL."""
+
+    @F.pandas_udf("int")
+    def block(key: pd.Series, parts: pd.Series) -> pd.Series:
+        return (key % parts).astype("int32")
+
+    spark.udf.register("block_number", block)
+    table(spark, d, "supplier").createOrReplaceTempView("numbered_suppliers")
+    return spark.sql("SELECT block_number(s_suppkey, 3) AS cb, count(*) AS n FROM numbered_suppliers GROUP BY 1")
+
+
+@query("arbitrary_partition", "SELECT count(DISTINCT l_suppkey) AS n_cols, 7::BIGINT AS most_blocks FROM lineitem")
+def _(spark, d):
+    """Columns dealt to seven blocks by hash instead of by nation: every column in one block."""
+    s = systems.partition_by(supplier(spark, d), cb=F.col("col_id"), parts=7)
+    per = s.entries.select("cb", "col_id").distinct()
+    one = per.groupBy("col_id").agg(F.count("*").alias("k"))
+    return one.agg(F.sum(F.when(F.col("k") == 1, 1)).alias("n_cols"), F.lit(7).cast("long").alias("most_blocks"))

@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import functions as F
 
 from blocksolve.plans.blocks import rounded
+from blocksolve.sources.store import shared_dir
 from blocksolve.streaming import arrivals
 
 QUERIES: dict = {}
@@ -59,4 +62,29 @@ def _(spark, d):
 
 @query("stream_counters", "SELECT (user_id % 8)::INT AS rb, count(*) AS visits, round(sum(value), 4) + 0.0 AS total FROM events GROUP BY 1")
 def _(spark, d):
-    return rounded(arrivals.drain(arrivals.counters(arrivals.event_stream(spark, d)), "update"), "total")
+    return rounded(arrivals.drain(arrivals.counters(arrivals.event_stream(spark, d)), "update", ["rb"]), "total")
+
+
+@query("stream_counters_by_turns", SQL["stream_counters"])
+def _(spark, d):
+    """The same over several micro-batches: the last version of each counter."""
+    turns = ["event_id % 3 = 0", "event_id % 3 = 1", "event_id % 3 = 2"]
+    stream = arrivals.in_turns(spark.read.parquet(f"{d}/events.parquet").select(*arrivals.NAMES), turns, _place(spark))
+    return rounded(arrivals.drain(arrivals.counters(stream), "update", ["rb"]), "total")
+
+
+@query(
+    "stream_late_rows",
+    """SELECT date_trunc('day', ts)::TIMESTAMP AS start, count(*) AS n, round(sum(value), 4) + 0.0 AS total FROM events
+    GROUP BY 1 HAVING date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 2 HOUR""",
+)
+def _(spark, d):
+    """Days in order, then all of the first days again: they are late, their windows are closed, and nothing of them is counted twice.
+    The last window is still open."""
+    turns = ["dayofmonth(ts) <= 10", "dayofmonth(ts) BETWEEN 11 AND 20", "dayofmonth(ts) > 20", "dayofmonth(ts) <= 5"]
+    stream = arrivals.in_turns(spark.read.parquet(f"{d}/events.parquet").select(*arrivals.NAMES), turns, _place(spark))
+    return rounded(arrivals.drain(arrivals.tumbling(stream)), "total")
+
+
+def _place(spark) -> str:
+    return f"{shared_dir(spark)}/turns-{uuid.uuid4().hex}"

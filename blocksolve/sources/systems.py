@@ -8,11 +8,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from blocksolve.functions import geometry
-from blocksolve.functions.hashing import gaussian, uniform
+from blocksolve.functions.hashing import block_of, gaussian, uniform
 from blocksolve.schema import LinearSystem
 from blocksolve.sources.store import commit
 from blocksolve.sources.tables import table
@@ -37,6 +37,15 @@ def assemble(parts: Parts, y: DataFrame | None = None, noise_sd: float = 0.0, se
     return LinearSystem(placed, y, rows, cols)
 
 
+def partition_by(system: LinearSystem, rb: Column | None = None, cb: Column | None = None, parts: int = 8) -> LinearSystem:
+    """The same system cut anew: rows (or columns) go to ``parts`` blocks by a hash of an expression over rows (or cols)."""
+    rows = system.rows if rb is None else system.rows.withColumn("rb", block_of(rb, parts))
+    cols = system.cols if cb is None else system.cols.withColumn("cb", block_of(cb, parts))
+    entries = system.entries.select("row_id", "col_id", "val")
+    placed = entries.join(rows.select("row_id", "rb"), "row_id").join(cols.select("col_id", "cb"), "col_id").select("cb", "rb", "row_id", "col_id", "val")
+    return LinearSystem(placed, system.y.drop("rb").join(rows.select("row_id", "rb"), "row_id").select("rb", "row_id", "y"), rows, cols)
+
+
 def _rows(df: DataFrame, row_id: Column, rb: Column, view: Column | None = None, sub: Column | None = None) -> DataFrame:
     return df.select(row_id.cast("bigint").alias("row_id"), rb.cast("int").alias("rb"), (view if view is not None else rb).cast("int").alias("view"), (sub if sub is not None else F.lit(0)).cast("int").alias("sub"))
 
@@ -79,14 +88,17 @@ def shipday(spark: SparkSession, sf_dir: str, m: int = 8, days: int = 365) -> Pa
     return _summed(lines, F.col("l_orderkey"), day, F.col("l_quantity")), _orders(spark, sf_dir, m), _cols(truth, F.col("d"), F.floor(F.col("d") / days), F.col("t") * 100)
 
 
+WINDOWS = 1 << 40  # row numbers of a view
+
+
 def _sliding(spark: SparkSession, points: DataFrame, widths: tuple[int, ...], per_row_block: int, per_col_block: int) -> Parts:
     """Windows of several widths over numbered points (p, t): a row per window, entry 1 for each point inside. A view per width."""
     span = points.agg(F.min("p").alias("a"), F.max("p").alias("b"))
     width = F.posexplode(F.array(*[F.lit(w) for w in widths])).alias("view", "w")
     starts = span.select("a", "b", width).select("a", "view", "w", F.explode(F.sequence("a", F.col("b") - F.col("w") + 1)).alias("s"))
-    row = F.col("view") * 1_000_000 + F.col("s") - F.col("a")
+    row = F.col("view").cast("bigint") * WINDOWS + F.col("s") - F.col("a")
     sub = F.floor((F.col("s") - F.col("a")) / per_row_block)
-    rows = _rows(starts, row, F.col("view") * 1000 + sub, F.col("view"), sub)
+    rows = _rows(starts, row, F.col("view") * 100_000 + sub, F.col("view"), sub)
     entries = starts.select(row.cast("bigint").alias("row_id"), F.explode(F.sequence("s", F.col("s") + F.col("w") - 1)).alias("col_id")).select("row_id", F.col("col_id").cast("bigint").alias("col_id"), F.lit(1.0).alias("val"))
     cols = _cols(points.crossJoin(F.broadcast(span)), F.col("p"), F.floor((F.col("p") - F.col("a")) / per_col_block), F.col("t"))
     return entries.join(cols.select("col_id"), "col_id", "left_semi").select("row_id", "col_id", "val"), rows, cols
@@ -112,16 +124,15 @@ def userday(spark: SparkSession, sf_dir: str) -> Parts:
     ev = ev.where(F.from_json("props", "k INT")["k"].isNotNull())
     kinds = table(spark, sf_dir, "events", "event_type").distinct().select("event_type", (F.dense_rank().over(_by("event_type")) - 1).alias("kind"))
     ev = ev.join(F.broadcast(kinds), "event_type")
-    row = F.col("user_id") * 100 + F.dayofmonth("ts")
+    day = F.datediff("ts", F.lit("1970-01-01").cast("date"))
+    row = F.col("user_id").cast("bigint") * 100_000 + day
     col = F.col("kind") * 24 + F.hour("ts")
-    rows = _rows(ev.select(row.alias("r"), F.dayofmonth("ts").alias("d")).distinct(), F.col("r"), F.pmod("d", F.lit(6)), F.col("d"))
+    rows = _rows(ev.select(row.alias("r"), day.alias("d")).distinct(), F.col("r"), F.pmod("d", F.lit(6)), F.col("d"))
     cols = _cols(ev.select(col.alias("c"), "kind").distinct(), F.col("c"), F.col("kind"), F.round(uniform(5, F.col("c")) * 10, 3))
     return _summed(ev, row, col, F.col("value")), rows, cols
 
 
 def _by(*keys: str):
-    from pyspark.sql import Window
-
     return Window.orderBy(*keys)
 
 
@@ -133,15 +144,17 @@ def tokens(docs: DataFrame) -> DataFrame:
 def terms(spark: SparkSession, sf_dir: str, least: int = 20) -> Parts:
     """Documents by terms of ``least`` documents or more, counts. Row blocks are languages, column blocks the language where a term is most frequent."""
     docs = table(spark, sf_dir, "documents", "doc_id", "lang", "source", "text")
-    langs = docs.select("lang").distinct().select("lang", (F.dense_rank().over(_by("lang")) - 1).alias("l"))  # a few rows
+    # a few rows; a missing language is one of its own, the last
+    langs = docs.select("lang").distinct().select(F.col("lang").alias("home"), (F.row_number().over(Window.orderBy(F.col("lang").asc_nulls_last())) - 1).alias("l"))
     # written once: the terms' frequencies and the entries both need it, and texts are read and split only here
     counted = commit(tokens(docs).groupBy("doc_id", "lang", "term").agg(F.count("*").alias("n")), "counted")
     per = counted.groupBy("term", "lang").agg(F.count("*").alias("df"))
-    home = per.groupBy("term").agg(F.sum("df").alias("df"), F.max_by("lang", F.struct("df", "lang")).alias("home")).where(F.col("df") >= least)
+    home = per.groupBy("term").agg(F.sum("df").alias("df"), F.max_by(F.struct("lang"), F.struct("df", "lang")).alias("home")).where(F.col("df") >= least)
     # the first 12 hexadecimal digits of md5 name a term: 48 bits, exact in any engine
     tid = F.conv(F.substring(F.md5("term"), 1, 12), 16, 10).cast("bigint")
-    cols = _cols(home.join(F.broadcast(langs), F.col("home") == F.col("lang")), tid, F.col("l"), F.round(uniform(7, tid) * 10, 3))
-    rows = _rows(docs.join(F.broadcast(langs), "lang"), F.col("doc_id"), F.col("l") * 5 + F.pmod(F.regexp_extract("source", r"(\d+)", 1).cast("int"), F.lit(5)), F.col("l"))
+    cols = _cols(home.select("term", F.col("home.lang").alias("lang")).join(F.broadcast(langs), F.col("home").eqNullSafe(F.col("lang"))), tid, F.col("l"), F.round(uniform(7, tid) * 10, 3))
+    number = F.expr(r"coalesce(try_cast(regexp_extract(source, '(\\d+)', 1) AS INT), 0)")
+    rows = _rows(docs.join(F.broadcast(langs), F.col("home").eqNullSafe(F.col("lang"))), F.col("doc_id"), F.col("l") * 5 + F.pmod(number, F.lit(5)), F.col("l"))
     entries = _summed(counted.join(home, "term", "left_semi"), F.col("doc_id"), tid, F.col("n"))
     return entries, rows, cols
 

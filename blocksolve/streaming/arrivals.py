@@ -16,10 +16,12 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
 from blocksolve.operators import step
-from blocksolve.sources.store import commit, shared_dir
+from blocksolve.sources.store import shared_dir
 
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
 
+NAMES = [c.split()[0] for c in EVENTS.split(", ")]
+
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a stream of files."""
@@ -33,8 +35,11 @@ def _is_folder(spark: SparkSession, path: str) -> bool:
     return p.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(p).isDirectory()
 
 
-def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Process all that is available, into files in the shared folder (complete and update modes keep the last version of each batch)."""
+def drain(stream: DataFrame, mode: str = "append", keys: list[str] | None = None) -> DataFrame:
+    """Process all that is available, into files in the shared folder. Complete mode keeps the last batch; update mode keeps the last
+    version of each of ``keys``."""
+    if mode == "update" and not keys:
+        raise ValueError("update mode needs the keys whose last version counts")
     spark = stream.sparkSession
     path = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
 
@@ -46,9 +51,19 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     made = spark.read.option("basePath", path).parquet(f"{path}/batch=*")
     if mode == "complete":
         made = made.where(F.col("batch") == made.agg(F.max("batch")).first()[0])
+    if mode == "update":
+        rest = [c for c in made.columns if c not in (*keys, "batch")]
+        return made.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("last")).select(*keys, "last.*")
     return made.drop("batch")
 
 
+def in_turns(rows: DataFrame, turns: list[str], path: str) -> DataFrame:
+    """A stream that delivers the rows that meet each condition of ``turns``, one micro-batch after the other. Files are taken by their time of writing."""
+    for i, condition in enumerate(turns):
+        rows.where(condition).coalesce(1).write.mode("append").parquet(f"{path}/turn={i:04d}")
+    return rows.sparkSession.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/turn=*")
+
+
 def tumbling(events: DataFrame, width: str = "1 day", slide: str | None = None, late: str = "2 hours") -> DataFrame:
     """start, n, total of tumbling or sliding windows; rows later than ``late`` are dropped once their window is closed."""
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
@@ -104,24 +119,38 @@ def counters(events: DataFrame, parts: int = 8) -> DataFrame:
     return keyed.groupBy("rb").transformWithStateInPandas(_Counters(), outputStructType="rb int, visits bigint, total double", outputMode="Update", timeMode="None")
 
 
-def descend_on_arrival(observations: DataFrame, entries: DataFrame, x: DataFrame, beta: float = 1.0) -> tuple[DataFrame, Callable[[], DataFrame]]:
+def _latest(spark: SparkSession, path: str) -> int:
+    """The number of the last complete version under ``path``, -1 if there is none."""
+    root = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs = root.getFileSystem(spark._jsc.hadoopConfiguration())
+    done = fs.globStatus(spark._jvm.org.apache.hadoop.fs.Path(f"{path}/batch=*/_SUCCESS")) or []
+    return max((int(f.getPath().getParent().getName().removeprefix("batch=")) for f in done), default=-1)
+
+
+def descend_on_arrival(observations: DataFrame, entries: DataFrame, x: DataFrame, beta: float = 1.0, path: str | None = None) -> tuple[DataFrame, Callable[[], DataFrame]]:
     """One block step for each micro-batch of observations (row_id, y): (the stream's query, a function that gives the x reached).
 
-    A batch that is delivered again is recognised by its number and skipped.
+    The iterate is written with the number of its batch beside the stream's checkpoint, under ``path``. A stream that is started
+    again there goes on from it; a batch that is delivered again is recognised by its number and skipped.
     """
-    at = {"x": x, "last": -1}
+    spark = observations.sparkSession
+    path = path or f"{shared_dir(spark)}/arrivals-{uuid.uuid4().hex}"
+
+    def reached() -> DataFrame:
+        last = _latest(spark, f"{path}/x")
+        return x if last < 0 else spark.read.schema(x.schema).parquet(f"{path}/x/batch={last}")
 
     def take(batch: DataFrame, number: int) -> None:
-        if number <= at["last"] or batch.isEmpty():
+        if number <= _latest(spark, f"{path}/x") or batch.isEmpty():
             return
+        now = reached()
         e = entries.join(batch.select("row_id"), "row_id", "left_semi").withColumn("grp", F.lit(0))
-        r = step.true_residual(entries.join(batch.select("row_id"), "row_id", "left_semi"), batch.withColumn("rb", F.lit(0)).select("rb", "row_id", "y"), at["x"])
-        xg = step.with_x(step.back_project(e, r), at["x"])
+        r = step.true_residual(e.drop("grp"), batch.withColumn("rb", F.lit(0)).select("rb", "row_id", "y"), now)
+        xg = step.with_x(step.back_project(e, r), now)
         f = step.forward_pair(e, xg)
         b = xg.select("cb", "grp").distinct().withColumn("beta", F.lit(beta))
         mu = step.step_length(xg, f, b)
-        at["x"], at["last"] = commit(step.average(at["x"], xg, mu, b.groupBy("cb").agg(F.count("*").alias("visits"))), "x"), number
+        step.average(now, xg, mu, b.groupBy("cb").agg(F.count("*").alias("visits"))).write.mode("overwrite").parquet(f"{path}/x/batch={number}")
 
-    path = f"{shared_dir(observations.sparkSession)}/arrivals-{uuid.uuid4().hex}"
-    q = observations.writeStream.option("checkpointLocation", path).trigger(availableNow=True).foreachBatch(take).start()
-    return q, lambda: at["x"]
+    q = observations.writeStream.option("checkpointLocation", f"{path}/stream").trigger(availableNow=True).foreachBatch(take).start()
+    return q, reached

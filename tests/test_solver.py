@@ -12,6 +12,7 @@ from blocksolve.functions import geometry
 from blocksolve.functions.hashing import uniform, uniform_of
 from blocksolve.operators import baselines, measures, resident, sampling, solver, step
 from blocksolve.operators import density as dens
+from blocksolve.plans import blocks
 from blocksolve.schema import SolveSpec, validate
 from blocksolve.sources import store, systems
 
@@ -190,6 +191,42 @@ def test_tiles_and_lines_partition_a_volume(spark):
     assert baselines.axial_blocks(grid, 2).select("cb").distinct().count() == 4
 
 
+def steepest(entries, y, blocks, sweeps, share=None):
+    """Exact line searches over one column block after the other, in plain arrays. ``blocks``: col_id -> block."""
+    rows, cols = sorted(y), sorted(blocks)
+    a = np.zeros((len(rows), len(cols)))
+    for r, c, v in entries:
+        a[rows.index(r), cols.index(c)] = v
+    x, obs, of = np.zeros(len(cols)), np.array([y[r] for r in rows]), np.array([blocks[c] for c in cols])
+    every, moved = sorted(set(of)), {}
+    for sweep in range(sweeps):
+        visit, before = every, x.copy()
+        if share is not None and sweep % 2:
+            order = sorted(every, key=lambda b: (-moved[b], b))
+            visit = sorted(b for i, b in enumerate(order) if i / (len(every) - 1) < share)
+        for b in visit:
+            g = np.where(of == b, a.T @ (obs - a @ x), 0.0)
+            ag = a @ g
+            x = x + (g @ g) / (ag @ ag) * g if ag @ ag > 0 else x
+        moved = {b: np.abs(x - before)[of == b].sum() for b in every}
+    return dict(zip(cols, x, strict=True))
+
+
+def test_block_descents_equal_plain_arrays(spark):
+    s, cells = blocks.volume(spark)
+    entries = [tuple(r) for r in s.entries.select("row_id", "col_id", "val").collect()]
+    y = {r["row_id"]: r["y"] for r in s.y.collect()}
+    for name, part, sweeps, share in (("base_slice_tiles", baselines.tile_blocks(cells, 4), 1, None), ("base_axial_topchange", baselines.axial_blocks(cells, 2), 2, 0.5)):
+        want = steepest(entries, y, {r["col_id"]: r["cb"] for r in part.collect()}, sweeps, share)
+        got = {r["col_id"]: r["x"] for r in blocks.QUERIES[name](spark, "").collect()}
+        assert got == pytest.approx(want, abs=1e-9) and len({round(v, 6) for v in got.values()}) > 8
+
+
+def test_one_task_baselines_refuse_large_systems(f1):
+    with pytest.raises(ValueError, match="one task"):
+        baselines._whole(f1, None, 2)
+
+
 def test_lengths_in_a_cube(spark):
     rays = geometry.parallel_rays(spark, 6, 9, 20.0)
     t = geometry.trace(rays, (8, 8))
@@ -215,3 +252,23 @@ def test_storage(f1, spark, tmp_path):
     for e in range(4):
         store.write_epoch(f1.x_zero(), str(tmp_path / "s"), e)
     assert sorted(p.name for p in (tmp_path / "s").glob("epoch=*")) == ["epoch=2", "epoch=3"]
+
+
+def test_cone_rays_hit_a_perpendicular_detector(spark):
+    """The source and the detector's centre lie on one line through the origin, and the detector is perpendicular to it."""
+    rays = geometry.cone_rays(spark, 6, 5, 2.0).collect()
+    for v in range(6):
+        mine = [r for r in rays if r["view"] == v]
+        src = np.array([mine[0]["src"][a] for a in "xyz"])
+        dst = np.array([[r["dst"][a] for a in "xyz"] for r in mine])
+        centre = dst.mean(0)
+        assert np.linalg.norm(src) == pytest.approx(66) and np.linalg.norm(src - centre) == pytest.approx(132)
+        assert np.allclose((dst - centre) @ src, 0, atol=1e-9) and np.allclose(np.cross(src, centre), 0, atol=1e-9)
+        assert len(np.unique(dst.round(9), axis=0)) == 25
+
+
+def test_noise_has_its_size(spark, tables):
+    parts = systems.supplier(spark, tables)
+    clean, noisy = systems.assemble(parts).y, systems.assemble(parts, noise_sd=3.0, seed=1).y
+    row = clean.join(noisy.select("row_id", F.col("y").alias("z")), "row_id").agg(F.stddev(F.col("z") - F.col("y")).alias("sd"), F.avg(F.col("z") - F.col("y")).alias("mean"), F.count("*").alias("n")).first()
+    assert row["sd"] == pytest.approx(3.0, rel=0.1) and abs(row["mean"]) < 4 * 3.0 / math.sqrt(row["n"])
