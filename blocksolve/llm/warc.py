@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blocksolve.llm.common import materialize
+from blocksolve.llm.common import heaviest, materialize
 
 VOLUME = 4 << 20
 RECORDS = "page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string, payload binary, status string"
@@ -57,13 +57,19 @@ def _records(page_id: int | None, url: str | None, payload: bytes, refers: int |
 
 
 def plan_revisits(pages: DataFrame, page_id: str = "page_id", url: str = "url", payload: str = "html", least: int = 1000) -> DataFrame:
-    """page_id, url, payload (binary), refers_to. Digests meet, not payloads; a hot digest is one row after the partial aggregate."""
+    """page_id, url, payload (binary), refers_to. A hot digest is one row after the partial aggregate, and the pages of the heaviest
+    digests stay where they are when they learn their response; the others move once, by digest."""
     rows = pages.select(F.col(page_id).cast("long").alias("page_id"), F.col(url).cast("string").alias("url"), F.coalesce(F.encode(payload, "UTF-8"), F.lit(b"")).alias("payload"))
     named = rows.withColumn("digest", F.when(F.octet_length("payload") >= least, F.sha1("payload")))
-    first = named.where("digest IS NOT NULL").groupBy("digest").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").select("digest", "first")
+    first = named.where("digest IS NOT NULL").groupBy("digest").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1")
+    first = materialize(first, "first-pages")
+    hot = heaviest(first, "n").drop("n")
+    near = named.join(F.broadcast(hot), "digest")
+    far = named.join(F.broadcast(hot.select("digest")), "digest", "left_anti")
     # small payloads get a key of their own, so that they do not pile up under null
-    named = named.withColumn("digest", F.coalesce("digest", F.concat(F.lit("of page "), F.coalesce(F.col("page_id").cast("string"), F.lit("none")), F.lit("/"), F.length("payload").cast("string"))))
-    return named.join(first, "digest", "left").select("page_id", "url", "payload", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
+    far = far.withColumn("digest", F.coalesce("digest", F.concat(F.lit("of page "), F.coalesce(F.col("page_id").cast("string"), F.lit("none")), F.lit("/"), F.length("payload").cast("string"))))
+    both = near.unionByName(far.join(first.drop("n"), "digest", "left"))
+    return both.select("page_id", "url", "payload", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
 
 
 def write_archives(planned: DataFrame, date: str = "2024-01-01T00:00:00Z", level: int = 3) -> DataFrame:
@@ -148,12 +154,21 @@ def read_archives(archives: DataFrame, data: str = "data", payloads: bool = True
     kinds = [pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.binary(), pa.string()]
     names = ["page_id", "url", "record_type", "refers_to", "payload_bytes", "payload_digest", "payload", "status"]
 
+    def table(rows: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
+
     def records(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for value in batch.column(0):
-                rows = list(_read(value.as_py() or b"", payloads))
-                for at in range(0, len(rows), 4096):
-                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows[at : at + 4096], strict=True), kinds, strict=True)], names)
+                rows, size = [], 0
+                for row in _read(value.as_py() or b"", payloads):
+                    rows.append(row)
+                    size += len(row[6] or b"")
+                    if len(rows) == 4096 or size >= 1 << 24:
+                        yield table(rows)
+                        rows, size = [], 0
+                if rows:
+                    yield table(rows)
 
     return archives.select(data).mapInArrow(records, RECORDS)
 
