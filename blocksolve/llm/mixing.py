@@ -75,7 +75,7 @@ def mix(docs: DataFrame, weights: dict[str, float] | None = None, temperature: f
     dealt = drawn.where("__mix_copies > 0").select(
         *[docs[c] for c in names], F.explode(F.sequence(F.lit(1), F.col("__mix_copies"))).alias("copy_no")
     )
-    place = F.xxhash64(F.lit(seed), F.col(doc_id), F.col("copy_no"))
+    place = F.xxhash64(F.lit(seed), F.col(doc_id), F.col(text), F.col("copy_no"))  # the text too: ids may repeat or be null
     return (
         dealt.withColumn("__mix_place", place).repartition(n, "__mix_place").sortWithinPartitions("__mix_place").drop("__mix_place")
     )
