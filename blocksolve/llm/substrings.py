@@ -142,7 +142,7 @@ def repeated_spans(docs: DataFrame, k: int = WINDOW, seed: int = SEED) -> DataFr
     hot = heaviest(whole.where("n > 1").select("m", "s", "n"), "n").select("m", "s", all_edges)
     span = lambda a, b: F.shiftleft((F.col("start") + a).cast("long"), 32) + F.col("start") + b
     spans = F.when(F.col("offs").isNull(), F.array(span(F.lit(0), F.col("edges") + (k - 1)))).otherwise(F.transform("offs", lambda o: span(o, o + k)))
-    return join_apart(met, told, hot, ["m", "s"]).select("_key1", "_key2", F.explode(spans).alias("span")).groupBy("_key1", "_key2").agg(F.collect_list("span").alias("spans"))
+    return join_apart(met, told, hot, ["m", "s"]).select("_key1", "_key2", F.explode(spans).alias("span")).groupBy("_key1", "_key2").agg(F.collect_set("span").alias("spans"))
 
 
 def cut(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", k: int = WINDOW, seed: int = SEED) -> DataFrame:
