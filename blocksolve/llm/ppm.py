@@ -12,7 +12,7 @@ Counting covers every learning text: a task adds up the (order + 1)-grams of its
 sums them. The model is all of them, in a written table. Its orders below ``SPLIT`` (256^SPLIT codes
 at most, whatever the input) are one trie; the higher orders are tries of one part each, where a part
 has all grams with the same last SPLIT context bytes (256^(order + 1 - SPLIT) at most). The ``nodes``
-most frequent grams (ties: the lesser code) are broadcast with their final code lengths; every other
+most frequent grams at most (whole bands of counts) are broadcast with their final code lengths; every other
 gram of a document, learned or not, is looked up by a join, as (gram, row) pairs that are added up
 within each row first. ``nodes`` moves work between the two ways and changes no score.
 ``adaptive`` instead codes each document with a trie of its own that grows as it goes.
@@ -30,7 +30,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType
 
@@ -260,6 +260,23 @@ def count(learn: DataFrame, text: str = "text", order: int = ORDER) -> DataFrame
     return learn.select(text).mapInArrow(counts, "kind byte, code long, n long").groupBy("kind", "code").agg(F.sum("n").alias("n"))
 
 
+def band(n: str) -> Column:
+    """Counts in bands of 1/16 of a doubling, rising with the count; 1024 at most."""
+    return F.floor(F.log2(F.col(n).cast("double")) * 16).cast("int")
+
+
+def heads(counted: DataFrame, most: int) -> DataFrame:
+    """The rows of the highest bands of counts that hold ``most`` rows at most in all. No task sorts or gathers rows."""
+    held = counted.groupBy(band("n").alias("band")).agg(F.count("*").alias("c")).orderBy(F.desc("band")).collect()  # a row a band
+    least, total = 1 << 20, 0
+    for r in held:
+        total += r["c"]
+        if total > most:
+            break
+        least = r["band"]
+    return counted.where(band("n") >= least)
+
+
 @dataclass
 class Model:
     order: int
@@ -279,8 +296,10 @@ def train(learn: DataFrame, text: str = "text", order: int = ORDER, nodes: int =
     low = grams.groupBy(F.col("code").bitwiseAND((1 << (8 * (below + 1))) - 1).alias("code")).agg(F.sum("n").alias("n")).toArrow()
     base = Trie(low["code"].to_numpy().view(np.uint64), low["n"].to_numpy(), below)
     # a learned gram is found at the longest context: its share of that context is all its code length needs
-    whole = grams.withColumn("total", F.sum("n").over(Window.partitionBy(F.shiftrightunsigned("code", 8))))
-    top = whole.orderBy(F.desc("n"), "code").limit(nodes).toArrow()
+    context = F.shiftrightunsigned("code", 8)
+    often = heads(grams, nodes)
+    totals = grams.groupBy(context.alias("context")).agg(F.sum("n").alias("total"))
+    top = often.withColumn("context", context).join(totals, "context").select("code", "n", "total").toArrow()
     head = top["code"].to_numpy().view(np.uint64), np.log10(top["n"].to_numpy() - 0.5) - np.log10(top["total"].to_numpy())
     words = counted.where(F.col("kind") == WORD).select("code", "n")
     sums = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("tokens"), F.count("*").alias("distinct"), F.coalesce(F.sum(F.when(F.col("code") == np.uint64(END_WORD).view(np.int64).item(), F.col("n"))), F.lit(0)).alias("ends")).first()
@@ -333,7 +352,7 @@ def score(docs: DataFrame, model: Model, keep: list[str], text: str = "text", he
     docs, keep = without_columns(docs, *made_here), [c for c in keep if c.lower() not in made_here]
     spark = docs.sparkSession
     order, split = model.order, model.order >= SPLIT
-    common = model.words.orderBy(F.desc("n"), "code").limit(head).toArrow()
+    common = heads(model.words, head).toArrow()
     code = common["code"].to_numpy().view(np.uint64)
     sort = np.argsort(code)
     table = Lookup(code[sort])
