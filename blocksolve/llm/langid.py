@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blocksolve.llm import textkernel as tk
-from blocksolve.llm.common import without_columns
+from blocksolve.llm.common import drop_table, materialize, without_columns
 
 N, HASHES, SLOTS = 4, 3, 1 << 21
 UNKNOWN = "und"
@@ -119,7 +119,7 @@ def merged(parts: list) -> tuple[np.ndarray, np.ndarray]:
 
 
 def train(learn: DataFrame, text: str = "text", lang: str = "lang", share: float = 0.3, floor: float = 2e-6) -> Filter:
-    counted = count(learn, text, lang).persist()  # both passes are small aggregates; a lost block is computed again
+    counted = materialize(count(learn, text, lang), "language-grams")
     totals = counted.groupBy("lang").agg(F.sum("n").alias("total")).orderBy(F.desc("total"), "lang").collect()  # a row per language
     langs = [r["lang"] for r in totals]
     words = max(1, -(-len(langs) // 64))
@@ -138,7 +138,7 @@ def train(learn: DataFrame, text: str = "text", lang: str = "lang", share: float
 
         got = sets.mapInArrow(place, "slot long, mask long").groupBy("slot").agg(F.bit_or("mask").alias("mask")).toArrow()
         bits.reshape(-1)[got["slot"].to_numpy()] = got["mask"].to_numpy().view(np.uint64)
-    counted.unpersist()
+    drop_table(counted)
     return Filter(langs, bits)
 
 

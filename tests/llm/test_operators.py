@@ -281,6 +281,13 @@ def test_substrings_equal_brute_force(spark, docs, rows):
     assert substrings.cut(df.limit(0)).count() == 0
 
 
+def test_repeated_rows_have_their_spans_once(spark):
+    x = said(random.Random(3), 300)
+    df = substrings.keyed(spark.createDataFrame([(7, x)] * 50, "doc_id long, text string"), "doc_id", "text")
+    spans = [r["spans"] for r in substrings.repeated_spans(df).collect()]
+    assert len(spans) == 1 and len(spans[0]) == len(set(spans[0])) < 60
+
+
 def test_substrings_random(spark):
     rng = random.Random(9)
     passages = [[f"p{i}_{j}" for j in range(rng.randrange(30, 60))] for i in range(4)]
@@ -429,6 +436,46 @@ def test_languages(spark, docs, rows):
     assert langid.predict(docs.limit(0), model, ["doc_id"]).count() == 0
 
 
+def language_brute(learn, text, share, floor):
+    """(lang, score) by sets of n-grams in plain Python."""
+
+    def runs(x):
+        low = [b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b >= 128 else 32 for b in x.encode()]
+        return [g for g in (tuple(low[i : i + 4]) for i in range(len(low) - 3)) if g != (32,) * 4]
+
+    n = collections.defaultdict(collections.Counter)
+    for x, lang in learn:
+        if x is not None and lang is not None:
+            n[lang].update(runs(x))
+    total = {k: sum(c.values()) for k, c in n.items()}
+    langs = sorted((k for k in n if total[k]), key=lambda k: (-total[k], k))
+    rate = {k: {g: c / total[k] for g, c in n[k].items() if c / total[k] >= floor} for k in langs}
+    top = collections.Counter()
+    for k in langs:
+        for g, r in rate[k].items():
+            top[g] = max(top[g], r)
+    if not any(c.isalpha() for c in text or ""):
+        return "und", 0.0
+    mine = runs(text)
+    score = {k: sum(rate[k].get(g, -1) >= share * top[g] for g in mine) / max(1, len(mine)) for k in langs}
+    best = max(langs, key=lambda k: score[k])
+    return best, score[best]
+
+
+def test_languages_equal_brute_force(spark, tables):
+    """The tables' texts, learned and held out, against n-gram sets: scores up to the filter's false positives."""
+    all_rows = [(r["doc_id"], r["text"], r["lang"]) for r in materialize(spark.read.parquet(f"{tables}/documents.parquet"), "d").collect()] + [(-1, "Ünï", "en"), (-2, None, "de"), (-3, "ab 12", None)]
+    learn = [(x, k) for i, x, k in all_rows if i % 3]
+    model = langid.train(spark.createDataFrame(learn, "text string, lang string"))
+    got = {r["i"]: (r["lang_pred"], r["score"]) for r in langid.predict(spark.createDataFrame(all_rows, "i long, text string, lang string"), model, ["i"]).collect()}
+    same = 0
+    for i, x, _ in all_rows[::3] + all_rows[-3:]:
+        lang, score = language_brute(learn, x, 0.3, 2e-6)
+        assert got[i][1] == pytest.approx(score, abs=0.02)
+        same += got[i][0] == lang
+    assert same >= len(all_rows[::3])
+
+
 def test_more_than_64_languages(spark):
     learn = spark.createDataFrame([(f"{chr(97 + i // 26)}{chr(97 + i % 26)}zq " * 30, f"l{i:02d}") for i in range(70)], "text string, lang string")
     model = langid.train(learn)
@@ -496,6 +543,14 @@ def test_scores_do_not_depend_on_the_broadcast_grams(spark, monkeypatch, order,
     assert got == {i: pytest.approx(ppm_brute(learn, t, order), rel=1e-5) for i, t in enumerate(test)}
 
 
+def test_heads_hold_whole_bands(spark):
+    df = spark.range(1, 1001).select(F.col("id").alias("code"), F.col("id").alias("n"))
+    for most in (0, 1, 50, 999, 1000, 5000):
+        got = [r["n"] for r in ppm.heads(df, most).collect()]
+        assert len(got) <= most and (most < 1000 or len(got) == 1000) and (not got or min(got) > 1000 - len(got))
+    assert len(ppm.heads(df, 200).collect()) > 120
+
+
 def test_nothing_learned_is_uniform(spark):
     empty = spark.createDataFrame([], "text string")
     model = ppm.train(empty)
