@@ -117,7 +117,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", name: str = "cc") -
         # order-free digest of the edge set: a fixed point is a forest of stars
         row = cur.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("u", "v")).alias("x")).first()
         if (row["n"], row["x"]) == seen:
-            return cur.select(F.col("u").alias("node"), F.col("v").alias("label")).union(
-                cur.select(F.col("v").alias("node"), F.col("v").alias("label")).distinct()
-            )
+            # members and centres through one exchange, so that the result lies evenly over tasks
+            both = F.explode(F.array(F.struct(F.col("u").alias("node"), F.col("v").alias("label")), F.struct(F.col("v").alias("node"), F.col("v").alias("label"))))
+            return cur.select(both.alias("e")).select("e.node", "e.label").distinct()
         seen = (row["n"], row["x"])
