@@ -69,7 +69,7 @@ def _(spark, d):
 def _(spark, d):
     """The same over several micro-batches: the last version of each counter."""
     turns = ["event_id % 3 = 0", "event_id % 3 = 1", "event_id % 3 = 2"]
-    stream = arrivals.in_turns(spark.read.parquet(f"{d}/events.parquet").select(*arrivals.NAMES), turns, _place(spark))
+    stream = arrivals.in_turns(spark.read.schema(arrivals.EVENTS).parquet(f"{d}/events.parquet"), turns, _place(spark))
     return rounded(arrivals.drain(arrivals.counters(stream), "update", ["rb"]), "total")
 
 
@@ -82,7 +82,7 @@ def _(spark, d):
     """Days in order, then all of the first days again: they are late, their windows are closed, and nothing of them is counted twice.
     The last window is still open."""
     turns = ["dayofmonth(ts) <= 10", "dayofmonth(ts) BETWEEN 11 AND 20", "dayofmonth(ts) > 20", "dayofmonth(ts) <= 5"]
-    stream = arrivals.in_turns(spark.read.parquet(f"{d}/events.parquet").select(*arrivals.NAMES), turns, _place(spark))
+    stream = arrivals.in_turns(spark.read.schema(arrivals.EVENTS).parquet(f"{d}/events.parquet"), turns, _place(spark))
     return rounded(arrivals.drain(arrivals.tumbling(stream)), "total")
 
 

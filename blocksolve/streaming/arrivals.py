@@ -20,7 +20,6 @@ from blocksolve.sources.store import shared_dir
 
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
 
-NAMES = [c.split()[0] for c in EVENTS.split(", ")]
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
