@@ -9,6 +9,7 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -285,7 +286,32 @@ def test_repeated_rows_have_their_spans_once(spark):
     x = said(random.Random(3), 300)
     df = substrings.keyed(spark.createDataFrame([(7, x)] * 50, "doc_id long, text string"), "doc_id", "text")
     spans = [r["spans"] for r in substrings.repeated_spans(df).collect()]
-    assert len(spans) == 1 and len(spans[0]) == len(set(spans[0])) < 60
+    assert len(spans) == 1 and [s["code"] for s in spans[0]] == [300]  # one path, words 0 to 300
+
+
+def test_paths_end_where_the_graph_branches(spark):
+    """A shared passage of 200 words with a detour in one text: two paths in the texts that lack it, verified by their words."""
+    rng = random.Random(9)
+    shared, tail = said(rng, 200, 10**6).split(), said(rng, 90, 10**6).split()
+    rows = [(1, " ".join(said(rng, 60, 10**6).split() + shared + tail)), (2, " ".join(shared + said(rng, 70, 10**6).split())), (3, " ".join(said(rng, 50, 10**6).split() + shared[100:] + tail))]
+    df = substrings.keyed(spark.createDataFrame(rows, "doc_id long, text string"), "doc_id", "text")
+    spans = {r["_key1"]: sorted((s["code"] >> 32, s["code"] & 0xFFFFFFFF) for s in r["spans"]) for r in substrings.repeated_spans(df).collect()}
+    assert max(b for _, b in spans[2]) == 200 and min(a for a, _ in spans[2]) == 0
+    assert max(b for _, b in spans[1]) == 350 and min(a for a, _ in spans[1]) == 60
+    verified = [s for r in substrings.repeated_spans(df).collect() for s in r["spans"] if (s["d1"], s["d2"]) != (0, 0)]
+    assert verified and max((s["code"] & 0xFFFFFFFF) - (s["code"] >> 32) for s in verified) > 60  # compacted beyond one piece
+
+
+def test_spans_of_other_words_stay():
+    """A path whose words differ from those at the source coordinate removes nothing."""
+    words = " ".join(f"w{i}" for i in range(60))
+    span = lambda d: pa.array([[{"code": (2 << 32) + 50, "d1": d, "d2": 5}]], pa.list_(pa.struct([("code", pa.int64()), ("d1", pa.int64()), ("d2", pa.int64())])))
+    assert substrings.without(pa.array([words]), span(7))[2].to_pylist() == [0]
+    w = substrings.tk.Words(pa.array([words]))
+    d1, d2 = np.frombuffer(substrings._Packed(w).digest(2, 50), np.int64)
+    good = pa.array([[{"code": (2 << 32) + 50, "d1": int(d1), "d2": int(d2)}]], span(7).type)
+    assert substrings.without(pa.array([words]), good)[2].to_pylist() == [48]
+    assert substrings._Packed(w).digest(2, 4) == hashlib.sha1(b"w2 w3").digest()[:16]
 
 
 def test_substrings_random(spark):
