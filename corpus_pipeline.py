@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blocksolve.llm import langid, mixing, neardup, sentencepieces, substrings
-from blocksolve.llm.common import materialize, read
+from blocksolve.llm.common import drop_table, materialize, read
 from blocksolve.llm.queries import piece_model
 
 #: a document whose best language explains less than this share of its n-grams is rejected
@@ -57,7 +57,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = read(spark, sf_dir, "documents")
+    """The last stage's rows. A stage's table is deleted once the next one is written; the last stays, as the result reads it."""
+    docs, last = read(spark, sf_dir, "documents"), None
     for name, stage in STAGES[:-1]:
         docs = materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        if last is not None:
+            drop_table(last)
+        last = docs
     return STAGES[-1][1](spark, docs, sf_dir)
