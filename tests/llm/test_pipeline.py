@@ -95,3 +95,24 @@ def test_language_id_keeps_texts_too_short_for_an_ngram(spark):
     docs = spark.createDataFrame([(i, t, "de" if i == 7 else "en") for i, t in enumerate(texts)], "doc_id long, text string, lang string")
     kept = {r["doc_id"] for r in dict(corpus_pipeline.STAGES)["language_id"](spark, docs, "").collect()}
     assert kept == {0, 1, 2, 3, 7}
+
+
+def test_odd_rows_pass_through(spark, tmp_path):
+    """Nulls in every column, empty and very long texts, repeated rows and ids, and extra columns named like what stages add."""
+    rng = __import__("random").Random(5)
+    said = lambda n: " ".join(rng.choice(("the", "cat", "sat", "house", "river", "garden")) + str(rng.randrange(9999)) for _ in range(n))
+    one, giant = said(80), said(60000)
+    rows = [(1, one, "en", "a", 1), (2, one, "en", "a", 1), (2, one, "en", "a", 1), (3, None, "en", "a", 1), (4, "", None, None, None), (None, said(60), "en", "b", 1), (None, None, None, None, None)]
+    rows += [(5, giant, "en", "b", 1), (6, said(70), None, "b", None), (7, said(70), "en", None, 1), (8, "12 34", "en", "a", 1)]
+    more = {c: "mine" for c in ("node", "spans", "rate", "ids", "copy_no", "lang_pred", "kept", "__mix_place")}
+    docs = spark.createDataFrame([(*r, *more.values()) for r in rows], ", ".join(["doc_id long, text string, lang string, source string, n_chars long", *(f"{c} string" for c in more)]))
+    docs.write.parquet(str(tmp_path / "some/documents.parquet"))
+    got = [r["doc_id"] for r in corpus_pipeline.run(spark, str(tmp_path / "some")).collect()]
+    assert set(got) <= {1, None, 5, 6, 7} and len(set(got)) >= 3
+    at = docs
+    for name, stage in corpus_pipeline.STAGES[:3]:
+        at = materialize(stage(spark, at, ""), name)
+        assert at.columns == [c for c in docs.columns if c in at.columns] and {"doc_id", "text", "lang", "source", "n_chars"} <= set(at.columns)
+    assert sorted((r["doc_id"] for r in at.collect()), key=str) == [1, 5, 6, 7, None]
+    docs.limit(0).write.parquet(str(tmp_path / "none/documents.parquet"))
+    assert corpus_pipeline.run(spark, str(tmp_path / "none")).count() == 0
