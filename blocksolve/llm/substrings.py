@@ -158,13 +158,15 @@ def compacted(whole: DataFrame) -> DataFrame:
     ahead = again.where("next = other AND next <> 0").select(F.col("next").alias("s"), F.col("s").alias("head"), F.col("n").alias("n2"), F.col("edges").cast("long").alias("far"))
     back = again.select("s", "n").join(ahead, "s").where("n = n2 AND s <> head").select("s", "head", "far")
     back = materialize(back.dropDuplicates(["s"]), "chains")
-    while True:
+    moved = not back.isEmpty()
+    while moved:
         seen = back.select(F.col("s").alias("head"), F.col("head").alias("head2"), F.col("far").alias("far2"))
-        if back.join(seen, "head", "left_semi").isEmpty():
-            break
-        far = back.join(seen, "head", "left").select("s", F.coalesce("head2", "head").alias("head"), (F.col("far") + F.coalesce("far2", F.lit(0))).alias("far"))
+        far = back.select("s", "head", "far").join(seen, "head", "left").select(
+            "s", F.coalesce("head2", "head").alias("head"), (F.col("far") + F.coalesce("far2", F.lit(0))).alias("far"), F.col("head2").isNotNull().alias("moved")
+        )
         last, back = back, materialize(far, "chains")
         drop_table(last)
+        moved = not back.where("moved").isEmpty()
     ends = again.select("s", "edges").join(back, "s").groupBy(F.col("head").alias("s")).agg(F.max(F.col("far") + F.col("edges")).alias("whole"))
     heads = again.join(back.select("s"), "s", "left_anti").join(ends, "s", "left")
     return heads.select("m", "s", "n", "at", F.coalesce("whole", "edges").cast("int").alias("edges"))

@@ -434,6 +434,16 @@ def test_thresholds_limit_false_rejections(spark):
     assert quality.judge(df.limit(0), labels).count() == 0
 
 
+def test_cutoffs_are_certified_on_the_tables(spark):
+    """The given labels suffice for every source, in one stratum or their own, and the rules reject documents that the base rule passes."""
+    d = "/root/testdata/sf0.01"
+    docs, labels = (spark.read.parquet(f"{d}/{n}.parquet") for n in ("documents", "labels"))
+    m = quality.shares(materialize(quality.measures(docs), "m"))
+    told = quality.thresholds(m, labels).collect()
+    assert len(told) == 20 and all(r["cut_symbol_share"] is not None and r["rejected"] <= 0.02 * r["n"] for r in told)
+    assert quality.judge(docs, labels).where("NOT kept AND NOT base_failed").count() > 10
+
+
 def test_binomial_tail(spark):
     for n, k, p in ((50, 0, 0.02), (500, 3, 0.02), (2000, 20, 0.02), (60000, 900, 0.02), (10, 9, 0.02)):
         got = spark.range(1).select(F.lit(k).cast("long").alias("k"), F.lit(n).cast("long").alias("n")).select(quality.log_binomial_cdf("k", "n", p)).first()[0]
