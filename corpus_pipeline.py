@@ -13,14 +13,20 @@ from blocksolve.llm.queries import piece_model
 LEAST_LANGUAGE_SCORE = 0.2
 
 
+def _columns(made: DataFrame, docs: DataFrame) -> DataFrame:
+    """The columns of ``docs``. An extra column named like one that a stage works with may be missing from then on; those of documents never are."""
+    return made.select([F.col(f"`{c}`") for c in docs.columns if c in made.columns])
+
+
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects texts without a letter and texts that no learned language explains. A missing language is filled in.
 
     A lettered text too short for an n-gram is no evidence against any language: it stays.
     """
-    told = langid.predict(docs, langid.train(docs), docs.columns)
+    names = [c for c in docs.columns if c.lower() not in ("lang_pred", "score")]
+    told = langid.predict(docs, langid.train(docs), names)
     kept = told.where((F.col("lang_pred") != langid.UNKNOWN) & ((F.col("score") >= LEAST_LANGUAGE_SCORE) | (F.octet_length("text") < langid.N)))
-    return kept.withColumn("lang", F.coalesce("lang", "lang_pred")).select(docs.columns)
+    return kept.withColumn("lang", F.coalesce("lang", "lang_pred")).select(names)
 
 
 def ngram_jaccard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -31,12 +37,12 @@ def ngram_jaccard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Words in repeated windows leave the texts; documents stay."""
     cut = substrings.cut(docs).withColumns({"text": F.col("kept"), "n_chars": F.length("kept").cast("long")})
-    return cut.select(docs.columns)
+    return _columns(cut, docs)
 
 
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents repeat, or leave, so that sources reach their target shares; rows are shuffled."""
-    return mixing.mix(docs).select(docs.columns)
+    return _columns(mixing.mix(docs), docs)
 
 
 def sentencepiece(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
