@@ -24,12 +24,17 @@ def as_of(left: DataFrame, right: DataFrame, keys: list[str], at: str, value: st
     return both.withColumn(value if value not in other else f"{value}_then", last).where("_side = 1").drop("_side", "_value")
 
 
+def nearest_second(ts: str) -> Column:
+    """Seconds since 1970, rounded to the nearest whole one (halves to the even one)."""
+    return F.rint(F.unix_micros(F.col(ts).cast("timestamp")) / 1e6).cast("bigint")
+
+
 def interval_join(a: DataFrame, b: DataFrame, key: str, ta: str, tb: str, seconds: int) -> DataFrame:
-    """Pairs of one key with 0 < tb - ta <= seconds, bucketed by time."""
-    x = a.withColumn("_bucket", F.floor(F.unix_timestamp(ta) / seconds))
-    y = b.withColumn("_b", F.floor(F.unix_timestamp(tb) / seconds)).withColumn("_bucket", F.explode(F.array("_b", F.col("_b") - 1))).drop("_b")
-    near = (F.col(tb) > F.col(ta)) & (F.unix_timestamp(tb) - F.unix_timestamp(ta) <= seconds)
-    return x.join(y, [key, "_bucket"]).where(near).drop("_bucket")
+    """Pairs of one key with ta < tb whose nearest whole seconds are at most ``seconds`` apart, bucketed by time."""
+    x = a.withColumn("_sa", nearest_second(ta)).withColumn("_bucket", F.floor(F.col("_sa") / seconds))
+    y = b.withColumn("_sb", nearest_second(tb)).withColumn("_b", F.floor(F.col("_sb") / seconds)).withColumn("_bucket", F.explode(F.array("_b", F.col("_b") - 1))).drop("_b")
+    near = (F.col(tb) > F.col(ta)) & (F.col("_sb") - F.col("_sa") <= seconds)
+    return x.join(y, [key, "_bucket"]).where(near).drop("_bucket", "_sa", "_sb")
 
 
 def sparse_rows(entries: DataFrame) -> DataFrame:
