@@ -103,6 +103,66 @@ def test_sweeps_refuse_large_systems(grid):
         resident.sweep(grid, solver.density_of(grid), {"a": SolveSpec()}, most=100)
 
 
+def test_runs_spread_over_tasks_equal_runs_in_one_task(grid, swept):
+    """Rows dealt out: two row blocks of four tasks' rows, the others whole."""
+    by = ["run", "epoch"]
+    spread = resident.spread(grid, solver.density_of(grid), SPECS, (1,))
+    a, b = (s.history.orderBy(*by).toPandas() for s in (spread, swept))
+    assert len(a) == len(b) and np.allclose(a.drop(columns="run").astype(float), b.drop(columns="run").astype(float), rtol=1e-9, atol=1e-7, equal_nan=True)
+    a, b = (s.x.orderBy(*by, "col_id").toPandas() for s in (spread, swept))
+    assert len(a) == len(b) and np.allclose(a["x"], b["x"])
+    a, b = (s.refreshes.orderBy("run", "cb", "rb").toPandas() for s in (spread, swept))
+    assert a.equals(b)
+
+
+def test_whole_row_blocks_go_to_one_task(spark, tables):
+    s = systems.assemble(systems.basket(spark, tables, 72, 4))
+    per = resident.shares(s, 4).groupBy("rb").agg(F.countDistinct("task").alias("tasks"), F.count("*").alias("n")).toPandas()
+    assert set(per["tasks"]) == {1} and per["n"].sum() == s.y.count() + s.entries.count()
+    rows = resident.shares(s, 1).where("kind = 0").count()
+    assert rows == s.y.count()
+
+
+def test_sums_of_tasks_by_slices(tmp_path):
+    from concurrent.futures import ThreadPoolExecutor
+
+    rng = np.random.default_rng(1)
+    parts = [[rng.normal(size=n) for n in (3, resident.LARGE + 5, 2, resident.LARGE + 1)] for _ in range(3)]
+
+    def one(k):
+        sums = resident.Sums(str(tmp_path / "s"), k, 3)
+        return [sums.add(a) for a in parts[k]]
+
+    with ThreadPoolExecutor(3) as pool:
+        got = list(pool.map(one, range(3)))
+    for g in got:
+        for k in range(4):
+            assert np.array_equal(g[k], parts[0][k] + parts[1][k] + parts[2][k])
+
+
+def test_long_row_blocks_equal_short_ones(grid, monkeypatch):
+    """Entries read where they lie, a few at a time, or put together."""
+    held, got = resident.hold(grid, solver.density_of(grid)), []
+    for long, stretch in ((1, 5), (1 << 40, 1 << 17)):
+        monkeypatch.setattr(resident, "LONG", long)
+        monkeypatch.setattr(resident, "STRETCH", stretch)
+        got.append([b.to_pydict() for b in resident.together(held, SPECS, (), lambda a: a)])
+    for a, b in zip(*got, strict=True):
+        for c in a:
+            same = a[c] == b[c] if c not in "abc" else np.allclose(np.array(a[c], float), np.array(b[c], float), rtol=1e-9, atol=1e-7, equal_nan=True)
+            assert same, (c, a["run"])
+
+
+def test_systems_beyond_one_task_are_spread(grid, monkeypatch):
+    """Before, they went setting by setting through the distributed solver."""
+    from blocksolve.plans import workloads
+
+    monkeypatch.setattr(resident, "MOST", 1000)
+    monkeypatch.setattr(solver, "solve", None)
+    h = workloads.run_all(grid, {"a": SolveSpec(epochs=2), "b": SolveSpec(epochs=3)}).history
+    assert h.count() == 5
+
+
 def test_schedules():
     assert [SolveSpec(theta_step=0.4).theta(e) for e in (1, 2, 3, 4)] == [0.0, 0.4, 0.8, 1.0]
 
