@@ -1,6 +1,7 @@
 """The hand-worked system, equivalences of variants, sampling laws, geometry and storage."""
 
 import math
+import os
 from collections import Counter
 from dataclasses import replace
 
@@ -163,6 +164,43 @@ def test_systems_beyond_one_task_are_spread(grid, monkeypatch):
     assert h.count() == 5
 
 
+def test_many_settings_read_entries_from_files(grid, swept, monkeypatch):
+    """Before, beyond one task every task held its entries and the states of all settings."""
+    from blocksolve.plans import workloads
+
+    monkeypatch.setattr(resident, "STORED", 100)
+    monkeypatch.setattr(resident, "spread", None)
+    monkeypatch.setattr(resident, "hold", None)
+    by, got = ["run", "epoch"], workloads.run_all(grid, SPECS, (1,))
+    a, b = (s.history.orderBy(*by).toPandas() for s in (got, swept))
+    assert len(a) == len(b) and np.allclose(a.drop(columns="run").astype(float), b.drop(columns="run").astype(float), rtol=1e-9, atol=1e-7, equal_nan=True)
+    a, b = (s.x.orderBy(*by, "col_id").toPandas() for s in (got, swept))
+    assert len(a) == len(b) and np.allclose(a["x"], b["x"])
+    a, b = (s.refreshes.orderBy("run", "cb", "rb").toPandas() for s in (got, swept))
+    assert a.equals(b)
+
+
+def test_stored_entries_equal_held_ones(grid, tmp_path, monkeypatch):
+    """Cells in several parts; runs read them a few at a time, or put together."""
+    density = solver.density_of(grid)
+    want, files = resident.hold(grid, density), resident.store(grid, density, str(tmp_path / "s"), 5)
+    got = files.held()
+    assert np.array_equal(got.y, want.y)
+    for a, b in zip(got.blocks, want.blocks, strict=True):
+        assert isinstance(a.col, resident.Stored) and len(a.val) == len(b.val) > 9
+        for name in ("row", "start", "first"):
+            assert np.array_equal(getattr(a, name), getattr(b, name)), name
+        assert np.array_equal(a.col[:], b.col) and np.array_equal(a.val[3:9], b.val[3:9]) and not len(a.val[:0])
+    for long, stretch in ((1, 50), (1 << 40, 1 << 17)):
+        monkeypatch.setattr(resident, "LONG", long)
+        monkeypatch.setattr(resident, "STRETCH", stretch)
+        for a, b in zip(*(resident.together(h, SPECS, (), lambda a: a) for h in (got, want)), strict=True):
+            assert a.equals(b)
+    os.truncate(tmp_path / "s" / "val", 8)
+    with pytest.raises(OSError, match="too short"):
+        got.blocks[-1].val[:]
+
+
 def test_schedules():
     assert [SolveSpec(theta_step=0.4).theta(e) for e in (1, 2, 3, 4)] == [0.0, 0.4, 0.8, 1.0]
 
